@@ -1,10 +1,9 @@
 """Toxicity: maximum-scoring segments over token log-odds with Dirichlet priors.
 
 Each word has a log-odds of occurring in toxic text, smoothed by an informative
-Dirichlet prior (its share in both classes together). A word that training saw too
-rarely takes the log-odds of its longest known prefix, so inflected forms of a stem
-count. A linear scan over a document's scores finds every disjoint maximal-scoring
-segment. For random text the best segment follows an extreme-value law with
+Dirichlet prior (its share in both classes together). A word takes the highest log-odds
+of itself and its known prefixes, so inflected forms of a stem count. A linear scan over
+a document's scores finds every disjoint maximal-scoring segment. For random text the best segment follows an extreme-value law with
 parameters lambda and K (lambda solves sum p(s) exp(lambda s) = 1), so a segment of
 score S among n words is unexpected by lambda S - log(K n) nats; significant segments
 add up to the document's evidence, which a logistic curve maps to 0..1.
@@ -33,14 +32,14 @@ from .shared import written
 TRAIN_ROWS = 20_000
 #: Strength of the prior in documents, least number of documents with a token, prefix lengths.
 PRIOR, LEAST, PREFIXES = 50.0, 3, (4, 5, 6)
-#: Least log-odds and least z value of a token that carries weight.
-ODDS, SURE = 1.0, 1.96
+#: A token weighs the lower end of its log-odds, this many standard deviations down, and only if that is at least ODDS.
+DOWN, ODDS = 1.0, 1.5
 #: Scores are capped to this range of nats; a word without evidence costs a little.
 CAP, COST = 8.0, -0.25
 
 
 def forms(word: str) -> list[str]:
-    """Names under which a word is looked up, most specific first."""
+    """Names under which a word is looked up."""
     return [word, *(f"{word[:k]}~" for k in reversed(PREFIXES) if len(word) > k)]
 
 
@@ -63,11 +62,23 @@ class Model:
         self.weights, self.lam, self.log_k, self.slope, self.offset = weights, lam, log_k, slope, offset
 
     def word(self, word: str) -> float:
-        for form in forms(word):
-            x = self.weights.get(form)
-            if x is not None:
-                return x
-        return COST
+        return max([x for form in forms(word) if (x := self.weights.get(form)) is not None], default=COST)
+
+    def row(self, text: str | None, memo: dict[str, float]) -> list[float]:
+        """Scores of a text's words. The log-odds speak of documents that hold a word, so a word counts once in a document."""
+        out, seen = [], set()
+        for w in tokens(text or ""):
+            x = memo.get(w)
+            if x is None:
+                if len(memo) > 200_000:
+                    memo.clear()
+                x = memo[w] = self.word(w)
+            if x > 0:
+                if w in seen:
+                    x = COST
+                seen.add(w)
+            out.append(x)
+        return out
 
     def segments(self, scores: list[float]) -> list[tuple[int, int, float]]:
         """Every disjoint maximal-scoring segment (first, end, score): a linear scan that keeps, for each open candidate, the running total before and after it."""
@@ -92,7 +103,7 @@ class Model:
     def evidence(self, scores: list[float]) -> tuple[float, list[tuple[int, int, float]]]:
         n = max(len(scores), 1)
         found = [(a, b, e) for a, b, s in self.segments(scores) if (e := self.lam * s - self.log_k - np.log(n)) > 0]
-        return sum(e for *_, e in found), found
+        return float(np.log1p(sum(e for *_, e in found))), found
 
     def score(self, evidence: float) -> float:
         return float(1 / (1 + np.exp(-np.clip(self.slope * evidence + self.offset, -30, 30))))
@@ -127,9 +138,9 @@ def fit(docs: DataFrame, labels: DataFrame, usable: Column, label_col: str = "to
     share = (F.col("toxic") + F.col("clean")) / F.lit(float(t + c))
     odds = lambda y, n: F.log((F.col(y) + PRIOR * share) / (n + PRIOR - F.col(y) - PRIOR * share))
     spread = 1 / (F.col("toxic") + PRIOR * share) + 1 / (F.col("clean") + PRIOR * share)
-    weighed = counts.withColumn("w", odds("toxic", t) - odds("clean", c)).withColumn("z", F.col("w") / F.sqrt(spread))
+    weighed = counts.withColumn("w", odds("toxic", t) - odds("clean", c) - DOWN * F.sqrt(spread))
     # the bounded sample bounds the number of tokens that are surely toxic
-    kept = weighed.where((F.col("w") > ODDS) & (F.col("z") > SURE)).select("form", "w").collect()
+    kept = weighed.where(F.col("w") > ODDS).select("form", "w").collect()
     weights = {r["form"]: float(min(r["w"], CAP)) for r in kept}
     model = Model(weights, 1.0, 0.0)
     sample = rows.where("_toxic = 0").limit(2000).toPandas()["_text"]
@@ -142,24 +153,31 @@ def fit(docs: DataFrame, labels: DataFrame, usable: Column, label_col: str = "to
 
 def _evidence(model: Model):
     def run(text: pd.Series) -> pd.Series:
-        return pd.Series([model.evidence([model.word(w) for w in tokens(x or "")])[0] for x in text], dtype="float64")
+        return pd.Series([model.evidence(model.row(x, {}))[0] for x in text], dtype="float64")
 
     return run
 
 
 def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.05) -> tuple[float, float]:
-    """Two-parameter logistic regression with a small ridge, by Newton steps."""
-    a, b = 0.5, -1.0
-    for _ in range(50):
-        p = 1 / (1 + np.exp(-np.clip(a * x + b, -30, 30)))
+    """Two-parameter logistic regression with a small ridge, by Newton steps that are halved until the loss falls."""
+    at = np.array([0.1, -1.0])
+
+    def loss(t: np.ndarray) -> float:
+        z = t[0] * x + t[1]
+        return float((np.logaddexp(0, z) - y * z).sum() + ridge / 2 * (t @ t))
+
+    for _ in range(100):
+        p = 1 / (1 + np.exp(-np.clip(at[0] * x + at[1], -30, 30)))
         w = np.maximum(p * (1 - p), 1e-9)
-        g = np.array([((p - y) * x).sum() + ridge * a, (p - y).sum() + ridge * b])
-        h = np.array([[(w * x * x).sum() + ridge, (w * x).sum()], [(w * x).sum(), w.sum() + ridge]])
-        step = np.linalg.solve(h, g)
-        a, b = a - step[0], b - step[1]
-        if abs(step).max() < 1e-8:
+        g = np.array([((p - y) * x).sum(), (p - y).sum()]) + ridge * at
+        h = np.array([[(w * x * x).sum(), (w * x).sum()], [(w * x).sum(), w.sum()]]) + ridge * np.eye(2)
+        step, before = np.linalg.solve(h, g), loss(at)
+        while loss(at - step) > before and abs(step).max() > 1e-10:
+            step = step / 2
+        at = at - step
+        if abs(step).max() < 1e-9:
             break
-    return float(max(a, 1e-6)), float(b)
+    return float(max(at[0], 1e-6)), float(at[1])
 
 
 def crc_fold(value: int | None) -> int:
@@ -172,14 +190,7 @@ def scorer(model: Model):
         for batch in batches:
             scores, passages = [], []
             for text in batch.column(0).to_pylist():
-                row = []
-                for w in tokens(text or ""):
-                    x = memo.get(w)
-                    if x is None:
-                        if len(memo) > 200_000:
-                            memo.clear()
-                        x = memo[w] = model.word(w)
-                    row.append(x)
+                row = model.row(text, memo)
                 e, found = model.evidence(row) if any(x > 0 for x in row) else (0.0, [])
                 scores.append(model.score(e))
                 passages.append([{"first": a, "end": b, "evidence": float(v)} for a, b, v in found])
