@@ -205,7 +205,10 @@ def texts(weights: Weights):
 
 def extract_text(pages: DataFrame, train_pages: int = TRAIN_PAGES, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
     """page_id, url, text, n_chars. Weights come from at most train_pages pages of least id hash."""
-    sample = [r[0] for r in pages.orderBy(F.xxhash64(id_col)).select(html_col).limit(train_pages).collect()]
+    at = F.xxhash64(id_col)
+    # the hashes alone are sorted, so the driver sees no page but those of the sample
+    last = pages.select(at.alias("at")).orderBy("at").limit(train_pages).agg(F.max("at")).first()[0]
+    sample = [r[0] for r in pages.where(at <= F.lit(last)).select(html_col).limit(train_pages).collect()] if last is not None else []
     rows = pages.select(F.col(id_col).alias("page_id"), F.col(url_col).alias("url"), F.col(html_col).alias("html"))
     kind = dict(pages.dtypes)[id_col]
     return rows.mapInArrow(texts(fit(sample)), f"page_id {kind}, url string, text string, n_chars long")

@@ -9,8 +9,8 @@ for: a record id (a name-based UUID of URL, date and place in the archive), an I
 timestamp, the record type and SHA-1 digests in base32.
 
 Equal payloads are found by SHA-256 over all pages: the least page id is the response, others
-are revisits that name it. Archives are text files of whole records in the shared
-folder, about ``ARCHIVE_BYTES`` each; reading goes by declared lengths only.
+are revisits that name it. Archives are compressed files of whole records in the shared
+folder, about ``ARCHIVE_BYTES`` each before compression; reading goes by declared lengths only.
 
 Defined results: a null html is an empty payload, and empty payloads equal each other;
 a null url is written as ``about:blank``; white space and control characters in a URL are
@@ -21,6 +21,7 @@ itself only through another id; a null page id is written as -1.
 from __future__ import annotations
 
 import base64
+import gzip
 import hashlib
 import re
 import uuid
@@ -162,7 +163,7 @@ def unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for data in batch.column(0):
             rows = []
             own: dict[str, str] = {}
-            for head, block in parse_warc(data.as_py()):
+            for head, block in parse_warc(gzip.decompress(data.as_py())):
                 revisit = head["WARC-Type"] == "revisit"
                 digest = head["WARC-Payload-Digest"].split(":", 1)[1] if revisit else base32_sha1(block)
                 if not revisit and head["WARC-Payload-Digest"] != f"sha1:{digest}":
@@ -183,7 +184,6 @@ def with_first(pages: DataFrame, id_col: str, url_col: str, html_col: str, least
     digests = pages.select(F.coalesce(F.col(id_col).cast("long"), F.lit(-1)).alias("id"), F.sha2(body, 256).alias("digest"), F.octet_length(body).alias("bytes"))
     digests = digests.where(F.col("bytes") >= least_bytes).select("id", "digest")
     first = digests.groupBy("digest").agg(F.min("id").alias("first"), F.count("*").alias("n")).where("n > 1").select("digest", "first")
-    to = digests.distinct().join(first, "digest").where("id <> first").select("id", "first")
     # with repeated ids the payload of the row decides, so the join also holds the digest
     to = digests.distinct().join(first, "digest").where("id <> first").select(F.col("id").alias("_id"), F.col("digest").alias("_digest"), F.col("first").alias("refers_to"))
     return rows.withColumn("digest", F.sha2(F.coalesce("html", F.lit("")), 256)).join(to, (F.col("id") == F.col("_id")) & (F.col("digest") == F.col("_digest")), "left").select("id", "url", "html", "refers_to")
@@ -192,7 +192,7 @@ def with_first(pages: DataFrame, id_col: str, url_col: str, html_col: str, least
 def write_archives(pages: DataFrame, path: str, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", archive_bytes: int = ARCHIVE_BYTES, least_bytes: int = 0) -> str:
     """Write one WARC record per page; equal payloads of at least least_bytes are stored once."""
     rows = with_first(pages, id_col, url_col, html_col, least_bytes)
-    rows.mapInArrow(pack(archive_bytes), "value string").write.option("lineSep", "\n").option("maxRecordsPerFile", 1).text(path)
+    rows.mapInArrow(pack(archive_bytes), "value string").write.option("lineSep", "\n").option("maxRecordsPerFile", 1).option("compression", "gzip").text(path)
     return path
 
 
