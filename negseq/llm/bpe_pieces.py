@@ -20,6 +20,8 @@ from __future__ import annotations
 
 import hashlib
 import heapq
+import sys
+import types
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -27,8 +29,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 MARK = "▁"
-#: Segments and pairs that a worker remembers at most.
-MEMO = 300_000
+#: Segments, and pairs, of each of two generations that a worker remembers.
+MEMO = 500_000
 
 
 class Vocabulary:
@@ -43,6 +45,11 @@ class Vocabulary:
         if any(MARK in p.lstrip(MARK) for p in self.id):
             raise ValueError("a piece holds the white-space mark after another character")
 
+    def ids_of(self, piece: str) -> list[int]:
+        """One id, or those of the bytes of a character that is no piece by itself."""
+        i = self.id.get(piece)
+        return [i] if i is not None else [self.byte[b] for b in piece.encode()]
+
     @classmethod
     def read(cls, path: str) -> Vocabulary:
         from sentencepiece import sentencepiece_model_pb2 as pb
@@ -69,6 +76,7 @@ class Encoder:
         self.automaton.make_automaton()
         self.sure: dict[tuple[str, str], bool] = {}
         self.memo: dict[str, tuple[int, str, str]] = {}
+        self.older: dict[str, tuple[int, str, str]] = {}
 
     def merged(self, text: str) -> list[str]:
         """Direct merging: a queue of pairs by score and place."""
@@ -96,11 +104,12 @@ class Encoder:
         return [p for p in parts if p is not None]
 
     def follows(self, a: str, b: str) -> bool:
+        """Whether merging both texts anew gives these two pieces; a is empty at the beginning."""
         found = self.sure.get((a, b))
         if found is None:
             if len(self.sure) >= MEMO:
                 self.sure.clear()
-            found = self.sure[a, b] = self.merged(a + b) == [a, b]
+            found = self.sure[a, b] = self.merged(a + b) == ([a, b] if a else [b])
         return found
 
     def backtracked(self, text: str) -> list[str]:
@@ -111,23 +120,27 @@ class Encoder:
         good = (1 << (n + 1)) - 1
         out: list[str] = []
         tried: list[int] = []
-        at = 0
+        at, sure, before = 0, self.sure, ""
         option = len(begins[0]) - 1
         while at < n:
             sizes = begins[at]
             while option >= 0:
-                piece = text[at : at + sizes[option]]
-                if good >> (at + sizes[option]) & 1 and (self.follows(out[-1], piece) if out else self.merged(piece) == [piece]):
-                    break
+                stop = at + sizes[option]
+                if good >> stop & 1:
+                    piece = text[at:stop]
+                    fits = sure.get((before, piece))
+                    if self.follows(before, piece) if fits is None else fits:
+                        break
                 option -= 1
             if option >= 0:
                 out.append(piece)
                 tried.append(option)
-                at += len(piece)
+                at, before = stop, piece
                 option = len(begins[at]) - 1 if at < n else 0
             elif out:
                 good &= ~(1 << at)
                 at -= len(out.pop())
+                before = out[-1] if out else ""
                 option = tried.pop() - 1
             else:
                 return self.merged(text)
@@ -135,7 +148,10 @@ class Encoder:
 
     def segment(self, text: str) -> list[int]:
         """Ids of a segment: marks, then other characters."""
-        v, out, run = self.v, [], ""
+        v = self.v
+        if v.chars.issuperset(text) and not text.startswith(MARK * 2):
+            return [i for p in self.backtracked(text) for i in v.ids_of(p)]
+        out, run = [], ""
         for c in [*text, None]:
             if c is not None and c in v.chars:
                 run += c
@@ -143,8 +159,7 @@ class Encoder:
             if run:
                 parts = self.merged(run) if run.startswith(MARK * 2) else self.backtracked(run)
                 for p in parts:
-                    i = v.id.get(p)
-                    out += [i] if i is not None else [v.byte[b] for b in p.encode()]
+                    out += v.ids_of(p)
                 run = ""
             if c is not None:
                 out += [v.byte[b] for b in c.encode("utf-8", "surrogatepass")]
@@ -200,14 +215,15 @@ class Encoder:
 
     def known(self, segment: str) -> tuple[int, str, str]:
         """Number of ids, the ids as text, the decoded text of a segment."""
-        found = self.memo.get(segment)
+        found = self.memo.get(segment) or self.older.get(segment)
         if found is None:
             ids = self.segment(segment)
-            if len(self.memo) >= MEMO:
-                self.memo.clear()
             found = len(ids), " ".join(map(str, ids)), self.surface(ids)
-            if len(segment) <= 40:
-                self.memo[segment] = found
+        if len(segment) <= 40:
+            if len(self.memo) >= MEMO:
+                # what is in use comes back from the older generation
+                self.older, self.memo = self.memo, {}
+            self.memo[segment] = found
         return found
 
     def encode(self, text: str, end: bool = True) -> list[int]:
@@ -215,15 +231,25 @@ class Encoder:
         return [*ids, self.v.end] if end else ids
 
 
+def worker_state() -> dict:
+    """A dict that lives as long as the worker process."""
+    return sys.modules.setdefault("_negseq_worker", types.ModuleType("_negseq_worker")).__dict__
+
+
 def digests(vocabulary, with_ids: bool = False):
     """vocabulary: a broadcast Vocabulary."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = Encoder(vocabulary.value)
-        end, known, memo = str(encoder.v.end), encoder.known, encoder.memo
+        # a worker keeps its encoder, and what it remembers, from one task to the next
+        kept = worker_state()
+        if kept.get("vocabulary") is not vocabulary.value:
+            kept["vocabulary"], kept["encoder"] = vocabulary.value, Encoder(vocabulary.value)
+        encoder = kept["encoder"]
+        end, known = str(encoder.v.end), encoder.known
         for batch in batches:
             n, ids, decoded, lists = [], [], [], []
             for text in batch.column(1).to_pylist():
+                memo = encoder.memo
                 rows = [memo.get(s) or known(s) for s in encoder.segments(text or "")]
                 whole = "".join([r[2] for r in rows])
                 if rows and encoder.v.add_prefix and whole[:1] == " ":
