@@ -17,6 +17,7 @@ hash of the text, a null id comes last. Extra columns are not read.
 from __future__ import annotations
 
 import hashlib
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -84,11 +85,26 @@ def find_runs(width: int, gram: int):
     return run
 
 
+def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Texts travel compressed; what they are joined with comes back to Python anyway."""
+    for batch in batches:
+        at = batch.schema.get_field_index("text")
+        packed = [None if x is None else zlib.compress(x, 1) for x in batch.column(at).cast(pa.binary()).to_pylist()]
+        yield batch.set_column(at, "text", pa.array(packed, pa.binary()))
+
+
+def unpacked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        at = batch.schema.get_field_index("text")
+        texts = [None if x is None else zlib.decompress(x) for x in batch.column(at).to_pylist()]
+        yield batch.set_column(at, "text", pa.array(texts, pa.large_binary()))
+
+
 def hash_runs(width: int, gram: int):
     """For the runs that may repeat: their window hashes, and a mask of windows with an earlier equal one in this slice."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in W.pieces(batches, "text"):
+        for part in W.pieces(unpacked(batches), "text"):
             text = W.split(*W.utf8(part.column(2)))
             h = text.hashes()
             if len(h) < width:
@@ -153,7 +169,8 @@ def cut(width: int, with_text: bool):
         for batch in batches:
             n_words, n_removed, digest, kept_text, spans = [], [], [], [], []
             for text, runs, masks in zip(*(batch.column(k).to_pylist() for k in (1, 2, 3)), strict=True):
-                words = (text or "").encode().split()
+                text = zlib.decompress(text) if text is not None else None
+                words = (text or b"").split()
                 found = _covered(np.array(runs), np.array(masks), len(words), width) if runs else []
                 if found:
                     kept, at = [], 0
@@ -168,7 +185,7 @@ def cut(width: int, with_text: bool):
                 n_removed.append(len(words) - len(kept))
                 digest.append(hashlib.sha256(joined).hexdigest())
                 if with_text:
-                    kept_text.append(joined.decode() if found else text)
+                    kept_text.append(joined.decode() if found else None if text is None else text.decode())
                     spans.append([{"first": a, "last": b - 1} for a, b in found])
             out = [batch.column(0), pa.array(n_words, pa.int64()), pa.array(n_removed, pa.int64()), pa.array(digest, pa.string())]
             names = ["doc_id", "n_words", "n_removed", "kept_sha256"]
@@ -189,7 +206,7 @@ def substring_dedup(docs: DataFrame, width: int = 20, gram: int = 8, id_col: str
     runs = base.mapInArrow(find_runs(width, gram), "key long, ord long, th long, run long, times long")
     total = F.expr("sum(times) over (partition by key)")
     maybe = runs.repartition("key").withColumn("total", total).where("total > 1").groupBy("ord", "th").agg(F.collect_list("run").alias("runs"))
-    hashed = base.join(maybe, ["ord", "th"]).select("ord", "th", "text", "runs").mapInArrow(hash_runs(width, gram), "key long, ord long, th long, run long, known long, windows array<long>")
+    hashed = base.mapInArrow(pack, "ord long, th long, text binary").join(maybe, ["ord", "th"]).select("ord", "th", "text", "runs").mapInArrow(hash_runs(width, gram), "key long, ord long, th long, run long, known long, windows array<long>")
     place = F.struct("ord", "th", (F.shiftrightunsigned("run", 6) + F.col("at")).alias("start"))
     each = hashed.repartition("key").select("key", "ord", "th", "run", "known", F.posexplode_outer(F.when(F.size("windows") > 0, F.col("windows"))).alias("at", "window"))
     each = each.where("at is null or shiftright(known, at) & 1 = 0").withColumn("place", place)
@@ -197,11 +214,12 @@ def substring_dedup(docs: DataFrame, width: int = 20, gram: int = 8, id_col: str
     bit = F.when(F.col("at").isNotNull() & (F.col("place") != F.col("first")), F.expr("shiftleft(1L, at)")).otherwise(F.lit(0))
     marks = each.groupBy("key", "ord", "th", "run").agg(F.bit_or(bit.bitwiseOR(F.col("known"))).alias("mask")).where("mask <> 0")
     marks = marks.groupBy("ord", "th").agg(F.collect_list("run").alias("runs"), F.collect_list("mask").alias("masks"))
-    whole = docs.select(F.col(id_col).alias("_id"), text.alias("_text"), order.alias("ord"), th.alias("th"), *(F.col(c).alias(f"_c{i}") for i, c in enumerate(carry)))
-    whole = whole.join(marks, ["ord", "th"], "left").select("_id", "_text", "runs", "masks", *(f"_c{i}" for i in range(len(carry))))
+    whole = docs.select(F.col(id_col).cast("long").alias("_id"), text.alias("text"), order.alias("ord"), th.alias("th"), *(F.col(c).alias(f"_c{i}") for i, c in enumerate(carry)))
+    packed = "_id long, text binary, ord long, th long" + "".join(f", _c{i} {dict(docs.dtypes)[c]}" for i, c in enumerate(carry))
+    whole = whole.mapInArrow(pack, packed).join(marks, ["ord", "th"], "left").select("_id", "text", "runs", "masks", *(f"_c{i}" for i in range(len(carry))))
     schema = "doc_id long, n_words long, n_removed long, kept_sha256 string"
     if with_text:
         kinds = dict(docs.dtypes)
         schema += ", kept_text string, removed array<struct<first: long, last: long>>" + "".join(f", _c{i} {kinds[c]}" for i, c in enumerate(carry))
-    out = whole.select(F.col("_id").cast("long").alias("_id"), *whole.columns[1:]).mapInArrow(cut(width, with_text), schema)
+    out = whole.mapInArrow(cut(width, with_text), schema)
     return out.withColumnsRenamed({f"_c{i}": c for i, c in enumerate(carry)})
