@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from ..functions.pattern import TOKENS, Element, Pattern, parse, positive_part, stats, text_of
 from ..functions.semantics import FREE, GROWTH, Constraints, Semantics, occurs
 from ..plans.planner import BROADCAST_ROWS
-from ..plans.stage import cached
+from ..plans.stage import written as cached
 from .growth import Options, described, mine, n_sequences, threshold, with_sids
 
 

@@ -38,6 +38,22 @@ def _u(seed: int, *parts: Column) -> Column:
     return F.pmod(F.xxhash64(F.lit(seed), *parts), F.lit(2**40)) / F.lit(float(2**40))
 
 
+def _planter(places: list[Column], positives: list[str], gaps: list, alphabet: list[str]):
+    """The item at a place (from 0) once the pattern is planted."""
+
+    def put(x: Column, i: Column) -> Column:
+        out = x
+        for j, q in enumerate(gaps):
+            if q is not None:
+                other = alphabet[(alphabet.index(q) + 1) % len(alphabet)]
+                out = F.when((i + 1 > places[j]) & (i + 1 < places[j + 1]) & (x == q), F.lit(other)).otherwise(out)
+        for j, item in enumerate(positives):
+            out = F.when(i + 1 == places[j], F.lit(item)).otherwise(out)
+        return out
+
+    return put
+
+
 def generate(spark: SparkSession, n: int = 500, mean_len: int = 20, n_items: int = 20, n_patterns: int = 3, pattern_len: int = 4, min_freq: float = 0.10, seed: int = 1) -> tuple[DataFrame, DataFrame]:
     """sequences (sid, len, itemsets) and truth (pattern, planted: number of sequences)."""
     patterns = plan(n_items, n_patterns, pattern_len, seed)
@@ -57,16 +73,7 @@ def generate(spark: SparkSession, n: int = 500, mean_len: int = 20, n_items: int
         placed = F.col("items")
         gaps = [q[0] if q else None for q in p.absences]
 
-        def put(x: Column, i: Column, places: list[Column] = places, positives: list[str] = positives, gaps: list = gaps) -> Column:
-            out = x
-            for j, q in enumerate(gaps):
-                if q is not None:
-                    other = names(n_items)[(names(n_items).index(q) + 1) % n_items]
-                    out = F.when((i + 1 > places[j]) & (i + 1 < places[j + 1]) & (x == q), F.lit(other)).otherwise(out)
-            for j, item in enumerate(positives):
-                out = F.when(i + 1 == places[j], F.lit(item)).otherwise(out)
-            return out
-
+        put = _planter(places, positives, gaps, names(n_items))
         rows = rows.withColumn("items", F.when(planted, F.transform(placed, put)).otherwise(placed)).withColumn(f"_p{k}", planted)
         truth.append(p.text)
     sequences = rows.select("sid", "len", F.transform("items", lambda x: F.array(x)).alias("itemsets"))

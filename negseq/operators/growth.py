@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 
 from ..functions.pattern import TOKENS, stats, text_of
 from ..plans.planner import small
-from ..plans.stage import CACHED_ROWS, bucketed, cached, written
+from ..plans.stage import bucketed, cached, written
 
 
 def threshold(sequences: int, sigma: str | float | int) -> int:
@@ -125,12 +125,9 @@ class Miner:
         return p, f.select("fid", "sid", start.alias("start"), F.expr(_EMPTY).alias("ppred"), "pos")
 
     def keep(self, df: DataFrame) -> tuple[DataFrame, int]:
-        df = cached(df)
-        n = df.count()
-        if n > CACHED_ROWS:
-            large, df = df, bucketed(df, "sid", ["sid", "pos"], self.buckets) if self.buckets and "sid" in df.columns else written(df)
-            large.unpersist()
-        return df, n
+        """Cut the lineage: a plan that nests all levels before it doubles with each. Frontiers go to buckets of sid if the store is in buckets."""
+        df = bucketed(df, "sid", ["sid", "pos"], self.buckets) if self.buckets and "sid" in df.columns else written(df)
+        return df, df.count()
 
     def positive_candidates(self, f: DataFrame, ops: DataFrame, n_ops: int) -> DataFrame:
         """(fid, op, item, sid, start, ppred, pos), not pruned. ops: fid, last, compose, extend."""
@@ -182,19 +179,18 @@ class Miner:
         self.sets = cached(ids)
         self.n_sets = self.sets.count()
 
-    def negative_children(self, p: DataFrame, f: DataFrame) -> tuple[DataFrame, DataFrame] | None:
-        """Children by an absence in the last gap: their level table, and the frontier rows of those that lose rows."""
+    def negative_children(self, p: DataFrame, f: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame] | None:
+        """Children by an absence in the last gap: their level table, the frontier rows of those that lose rows, and the classes of these."""
         o = self.o
         ready = p.where((F.col("npos") >= 2) & (F.col("last_size") == 1))
         if o.max_neg_size is not None:
             ready = ready.where(F.col("neg_size") < o.max_neg_size) if o.non_inclusion == "total" else ready.where("neg is null")
         elif o.non_inclusion == "partial":
             ready = ready.where("neg is null")
-        ready = cached(ready)
         if ready.isEmpty():
             return None
         rows = f.join(ready.select("fid").distinct(), "fid", "left_semi")
-        bad = cached(self.violated(rows))
+        bad = written(self.violated(rows))
         of = bad.groupBy("fid", "sid", "q").agg(F.count("*").alias("bad"))
         all_ = rows.groupBy("fid", "sid").agg(F.count("*").alias("rows"))
         counts = of.join(all_, ["fid", "sid"]).groupBy("fid", "q").agg(F.sum(F.when(F.col("bad") == F.col("rows"), 1).otherwise(0)).alias("lost"))
@@ -230,13 +226,13 @@ class Miner:
             "fid", fid.alias("new"), "q", F.xxhash64("pid", F.lit("n"), "q").alias("pid"), F.col("pid").alias("parent"), F.lit("n").alias("op"), F.col("q").alias("item"), tokens.cast(TOKENS).alias("tokens"),
             "support", "last", "last_size", F.col("q").alias("neg"), (F.col("neg_size") + F.col("more")).alias("neg_size"), "npos",
         )
-        child = cached(child)
+        child = written(child)
         fresh = child.where("new <> fid").select("fid", "q", "new").distinct()
         row = ["fid", "sid", "ppred", "pos"] + (["start"] if o.maxspan is not None else [])
         moved = rows.join(small(fresh, fresh.count()), "fid").join(bad.select(*row, "q"), [*row, "q"], "left_anti")
-        return child.drop("fid", "q").withColumnRenamed("new", "fid"), moved.select(F.col("new").alias("fid"), "sid", "start", "ppred", "pos")
+        return child.drop("fid", "q").withColumnRenamed("new", "fid"), moved.select(F.col("new").alias("fid"), "sid", "start", "ppred", "pos"), fresh.select(F.col("new").alias("fid"))
 
-    def positive_children(self, p: DataFrame, f: DataFrame) -> tuple[DataFrame, DataFrame]:
+    def positive_children(self, p: DataFrame, f: DataFrame, n: int) -> tuple[DataFrame, DataFrame]:
         o = self.o
         s = stats("tokens")
         room = F.lit(True) if o.max_items is None else s["n_items"] < o.max_items
@@ -244,11 +240,10 @@ class Miner:
             room &= F.aggregate(F.filter("tokens", lambda t: ~t["neg"]), F.lit(0), lambda a, t: a + F.size(t["items"])) < o.max_pos_items
         extend = room & (F.lit(True) if o.max_itemsets is None else F.col("npos") < o.max_itemsets)
         able = p.withColumn("compose", room).withColumn("extend", extend).where("compose or extend")
-        ops = cached(able.groupBy("fid", "last").agg(F.max("compose").alias("compose"), F.max("extend").alias("extend")))
-        n_ops = ops.count()
-        rows = self.positive_candidates(f, ops, n_ops)
+        ops = able.groupBy("fid", "last").agg(F.max("compose").alias("compose"), F.max("extend").alias("extend"))
+        rows = self.positive_candidates(f, ops, n)
         counts = rows.select("fid", "op", "item", "sid").distinct().groupBy("fid", "op", "item").agg(F.count("*").alias("n")).where(F.col("n") >= self.minsup)
-        counts = cached(counts)
+        counts = written(counts)
         n_counts = counts.count()
         child = able.drop("item", "op").join(small(counts, n_counts), "fid").where(F.when(F.col("op") == "c", F.col("compose")).otherwise(F.col("extend")))
         child = child.join(small(self.words.select("id", F.col("item").alias("word")), self.n_words), F.col("item") == F.col("id"))
@@ -272,19 +267,20 @@ class Miner:
         if o.negatives:
             self.load_lminus()
         p, f = self.seed()
-        p, f = cached(p), cached(f)
+        (p, n), (f, n_rows) = self.keep(p), self.keep(f)
         # partial absences add several items at once, so a level holds the patterns found in the same number of steps
         while True:
-            n = p.count()
             self.levels.append(p)
             self.frontiers.append(f)
-            self.frontier_rows.append(f.count())
+            self.frontier_rows.append(n_rows)
             if not n or len(self.levels) >= (o.max_items or 10**6):
                 break
-            child, moved = self.positive_children(p, f)
+            child, moved = self.positive_children(p, f, n)
             if o.negatives and (negative := self.negative_children(p, f)) is not None:
-                more, rows = negative
-                shared = f.join(more.select("fid").distinct(), "fid", "left_semi")
+                more, rows, fresh = negative
+                # rows of a class that is made anew at this level must not come twice
+                made = child.select("fid").unionAll(fresh)
+                shared = f.join(more.select("fid").distinct(), "fid", "left_semi").join(made, "fid", "left_anti")
                 child, moved = child.unionByName(more), moved.unionAll(rows).unionAll(shared)
             p, n = self.keep(child)
             if not n:
@@ -292,7 +288,7 @@ class Miner:
             if len(self.levels) + 1 == o.max_items and not all_frontiers:
                 self.levels.append(p)
                 break
-            f, _ = self.keep(moved)
+            f, n_rows = self.keep(moved)
         return self.levels[0] if len(self.levels) == 1 else _union([x.select("pid", "parent", "op", "item", "tokens", "support") for x in self.levels])
 
 

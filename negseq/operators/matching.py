@@ -82,6 +82,18 @@ def occurs(itemsets: Column | str, p: Pattern | str, sem: Semantics = GROWTH, c:
     return found if sem.occurrence == "soft" else _let(states, lambda s: (F.size(s) > 0) & ~F.exists(s, lambda x: x["tainted"]))
 
 
+def _extend(places: Column, c: Constraints):
+    """One more position for each embedding so far."""
+
+    def ok(e: Column, j: Column) -> Column:
+        reach = F.element_at(e, -1) < j
+        if c.maxgap is not None:
+            reach &= j - F.element_at(e, -1) <= c.maxgap
+        return reach if c.maxspan is None else reach & (j - F.element_at(e, 1) <= c.maxspan)
+
+    return lambda before: F.flatten(F.transform(before, lambda e: F.transform(F.filter(places, lambda j: ok(e, j)), lambda j: F.concat(e, F.array(j)))))
+
+
 def embeddings(sequences: DataFrame, p: Pattern | str, c: Constraints = FREE) -> DataFrame:
     """sid, e: all positions of the positive itemsets, a row each."""
     p = parse(p) if isinstance(p, str) else p
@@ -90,11 +102,7 @@ def embeddings(sequences: DataFrame, p: Pattern | str, c: Constraints = FREE) ->
     for items in p.positives[1:]:
         places = _places(sets, items)
 
-        def more(before: Column, places: Column = places) -> Column:
-            ok = lambda e, j: (F.element_at(e, -1) < j) & (F.lit(True) if c.maxgap is None else j - F.element_at(e, -1) <= c.maxgap) & (F.lit(True) if c.maxspan is None else j - F.element_at(e, 1) <= c.maxspan)
-            return F.flatten(F.transform(before, lambda e: F.transform(F.filter(places, lambda j: ok(e, j)), lambda j: F.concat(e, F.array(j)))))
-
-        found = _let(found, more)
+        found = _let(found, _extend(places, c))
     return sequences.select("sid", "itemsets", F.explode(found).alias("e")).drop("itemsets")
 
 

@@ -89,11 +89,10 @@ def days(spark: SparkSession, d: str) -> DataFrame:
 def _baskets(spark: SparkSession, d: str, item: str) -> DataFrame:
     orders = load(spark, d, "orders", "o_orderkey", "o_custkey", "o_orderdate")
     lines = load(spark, d, "lineitem", "l_orderkey", "l_partkey").join(load(spark, d, "part", "p_partkey", item), F.col("l_partkey") == F.col("p_partkey"))
-    rows = orders.join(lines, F.col("o_orderkey") == F.col("l_orderkey"), "left")
-    # positions count all orders of a customer, also those without a line
+    rows = orders.join(lines, F.col("o_orderkey") == F.col("l_orderkey"))
     by = Window.partitionBy("o_custkey").orderBy("o_orderdate")
     placed = rows.select(F.col("o_custkey").cast("long").alias("sid"), F.dense_rank().over(by).alias("pos"), F.col(item).alias("item"))
-    return placed.where("item is not null").distinct()
+    return placed.distinct()
 
 
 def basket_brand(spark: SparkSession, d: str) -> DataFrame:
@@ -130,10 +129,9 @@ def nation_flow(spark: SparkSession, d: str) -> DataFrame:
 
 def status_items(spark: SparkSession, d: str) -> DataFrame:
     orders = load(spark, d, "orders", "o_orderkey", "o_custkey", "o_orderdate")
-    rows = orders.join(load(spark, d, "lineitem", "l_orderkey", "l_returnflag", "l_linestatus"), F.col("o_orderkey") == F.col("l_orderkey"), "left")
+    rows = orders.join(load(spark, d, "lineitem", "l_orderkey", "l_returnflag", "l_linestatus"), F.col("o_orderkey") == F.col("l_orderkey"))
     by = Window.partitionBy("o_custkey").orderBy("o_orderdate")
-    placed = rows.select(F.col("o_custkey").cast("long").alias("sid"), F.dense_rank().over(by).alias("pos"), F.concat("l_returnflag", "l_linestatus").alias("item"))
-    return placed.where("item is not null").distinct()
+    return rows.select(F.col("o_custkey").cast("long").alias("sid"), F.dense_rank().over(by).alias("pos"), F.concat("l_returnflag", "l_linestatus").alias("item")).distinct()
 
 
 def passages(spark: SparkSession, d: str) -> DataFrame:

@@ -10,7 +10,7 @@ def fmt(x: str) -> str:
 
 
 _BASKET = """SELECT DISTINCT sid, pos::INTEGER AS pos, item FROM (SELECT o_custkey AS sid, dense_rank() OVER (PARTITION BY o_custkey ORDER BY o_orderdate) AS pos, {item} AS item
- FROM orders LEFT JOIN (lineitem JOIN part ON l_partkey = p_partkey) ON o_orderkey = l_orderkey) WHERE item IS NOT NULL"""
+ FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN part ON l_partkey = p_partkey)"""
 
 
 def _tokens(table: str, sid: str, text: str, pattern: str, first: int, where: str = "true") -> str:
@@ -30,7 +30,7 @@ VIEWS = {
     "nation_flow": """SELECT sid, pos::INTEGER AS pos, item FROM (SELECT l_suppkey AS sid, row_number() OVER (PARTITION BY l_suppkey ORDER BY l_shipdate, l_orderkey, l_linenumber) AS pos, r_name AS item
  FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey) WHERE pos <= 40""",
     "status_items": """SELECT DISTINCT sid, pos::INTEGER AS pos, item FROM (SELECT o_custkey AS sid, dense_rank() OVER (PARTITION BY o_custkey ORDER BY o_orderdate) AS pos, l_returnflag || l_linestatus AS item
- FROM orders LEFT JOIN lineitem ON o_orderkey = l_orderkey) WHERE item IS NOT NULL""",
+ FROM orders JOIN lineitem ON o_orderkey = l_orderkey)""",
     "passages": _tokens("benchmark", "item_id", "text", "([a-z]+)", 40),
     "vec_labels": "SELECT DISTINCT vec_id // 20 AS sid, (vec_id % 20 + 1)::INTEGER AS pos, label::VARCHAR AS item FROM embeddings WHERE label IS NOT NULL",
 }

@@ -8,9 +8,6 @@ import uuid
 from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 
-#: Rows up to which a level of a loop stays cached; a larger one is written.
-CACHED_ROWS = 50_000_000
-
 
 def shared_dir(spark: SparkSession) -> str:
     """spark.checkpoint.dir of the session; only where it is unset, as in a local test, a temporary folder."""
