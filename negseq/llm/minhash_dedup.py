@@ -1,11 +1,12 @@
 """Near-duplicate groups by b-bit MinHash.
 
 A document's set holds the hashes of its distinct ``shingle``-word runs. Documents of
-equal sets form a class with one representative. Each representative keeps 80 minima:
-26 bands of 3 generate candidates, the low 8 bits of all minima, packed in ten longs,
+equal sets form a class with one representative. Each representative keeps 160 minima:
+32 bands of 5 generate candidates, the low 8 bits of all minima, packed in 20 longs,
 estimate the similarity by bit counts, corrected for chance collisions, and what may
-reach the threshold is confirmed on the full sets. Two sets at a similarity of 0.8
-share no band with probability 8e-9 (0.85: 1e-11).
+reach the threshold is confirmed on the full sets. Two sets at a similarity of 0.85
+share no band with probability 7e-9 (0.8: 3e-6). As similar sets have similar sizes, a
+bucket is a band's key and one of two neighbouring classes of size, which loses no pair.
 
 Only components are wanted, so a bucket is not paired with itself. In each round some
 of its documents are hubs, about twice as many as in the last round, and are compared with
@@ -21,6 +22,7 @@ columns are not read.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -31,9 +33,9 @@ from pyspark.sql import functions as F
 from . import words as W
 from .shared import components, written
 
-HASHES, BANDS, ROWS = 80, 26, 3
-#: A pair whose estimate is this far under the threshold is out: six standard deviations at 80 hashes.
-MARGIN = 0.25
+HASHES, BANDS, ROWS = 160, 32, 5
+#: A pair whose estimate is so many standard deviations under the threshold is out.
+DEVIATIONS = 5.5
 
 _rng = np.random.Generator(np.random.PCG64(77))
 _FACTOR = _rng.integers(1, 2**63, HASHES, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -123,12 +125,16 @@ def estimate(a: Column | str, b: Column | str, bits: int = 8) -> Column:
 def near_links(signed: DataFrame, text: DataFrame, shingle: int, percent: int) -> DataFrame:
     """Links a, b that connect each component of the representatives."""
     spark = signed.sparkSession
-    each = signed.select("id", F.explode("keys").alias("bucket"))
+    # sizes of a linked pair differ by a factor of 100 / percent at most, so their classes by one at most
+    size_class = F.floor(F.log(F.col("n").cast("double")) / F.lit(math.log(100 / percent) * (1 + 1e-9))).cast("long")
+    each = signed.select("id", F.explode("keys").alias("key"), size_class.alias("class"))
+    each = each.select("id", F.explode(F.array(F.xxhash64("key", "class"), F.xxhash64("key", F.col("class") + 1))).alias("bucket"))
     size = each.groupBy("bucket").agg(F.count("*").alias("members")).where("members > 1")
     left = written(each.join(size, "bucket").select("bucket", "id"), spark)
     wanted = left.select("id").distinct()
     full = written(text.join(wanted, "id").select("id", "text").mapInArrow(full_sets(shingle), "id long, members array<long>").dropDuplicates(["id"]), spark)
-    low = written(signed.join(wanted, "id").select("id", "low"), spark)
+    low = written(signed.join(wanted, "id").select("id", "n", "low"), spark)
+    least = percent / 100 - DEVIATIONS * math.sqrt(percent / 100 * (1 - percent / 100) / HASHES)
     edges, component, hubs = None, None, 1
     while True:
         now = left.withColumn("component", F.col("id")) if component is None else left.join(component, "id", "left").withColumn("component", F.coalesce("component", "id"))
@@ -141,8 +147,8 @@ def near_links(signed: DataFrame, text: DataFrame, shingle: int, percent: int) -
         drawn = (F.pmod(F.shiftright(at, 20), F.lit(2**40)) / F.lit(2.0**40)) * F.col("size") < hubs
         chosen = now.where(drawn | (at == F.col("lead"))).select("bucket", F.col("id").alias("hub"), F.col("component").alias("c"))
         pairs = now.join(chosen, "bucket").where("component <> c").select(F.least("id", "hub").alias("a"), F.greatest("id", "hub").alias("b")).distinct()
-        sig = lambda k: low.select(F.col("id").alias(k), F.col("low").alias(f"low_{k}"))
-        likely = pairs.join(sig("a"), "a").join(sig("b"), "b").where(estimate("low_a", "low_b") >= percent / 100 - MARGIN).select("a", "b")
+        sig = lambda k: low.select(F.col("id").alias(k), F.col("n").alias(f"n_{k}"), F.col("low").alias(f"low_{k}"))
+        likely = pairs.join(sig("a"), "a").join(sig("b"), "b").where(f"100 * n_a >= {percent} * n_b and 100 * n_b >= {percent} * n_a").where(estimate("low_a", "low_b") >= least).select("a", "b")
         member = lambda k: full.select(F.col("id").alias(k), F.col("members").alias(f"of_{k}"))
         both = likely.join(member("a"), "a").join(member("b"), "b")
         common = F.size(F.array_intersect("of_a", "of_b"))
