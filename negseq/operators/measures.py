@@ -29,11 +29,12 @@ def profile(items: DataFrame) -> DataFrame:
 
 
 def overlap(left: DataFrame, right: DataFrame) -> DataFrame:
-    """pattern, left_support, right_support, side: full outer join of two mined sets."""
+    """pattern, left_support, right_support (0 where a set lacks the pattern), side: full outer join of two mined sets."""
     a = left.select("pattern", F.col("support").alias("left_support"))
     b = right.select("pattern", F.col("support").alias("right_support"))
     side = F.when(F.col("right_support").isNull(), "left").when(F.col("left_support").isNull(), "right").otherwise("both")
-    return a.join(b, "pattern", "full_outer").withColumn("side", side)
+    joined = a.join(b, "pattern", "full_outer").withColumn("side", side)
+    return joined.select("pattern", *(F.coalesce(c, F.lit(0)).cast("long").alias(c) for c in ("left_support", "right_support")), "side")
 
 
 def overlap_counts(left: DataFrame, right: DataFrame) -> DataFrame:

@@ -320,7 +320,7 @@ def _pair(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
     return growth.mine(items, "0.2", Options(maxgap=3)), baselines.mine_partner(items, "0.2", 0.7)
 
 
-query("overlap", _both("SELECT pattern, gm.support AS left_support, pm.support AS right_support, CASE WHEN pm.support IS NULL THEN 'left' WHEN gm.support IS NULL THEN 'right' ELSE 'both' END AS side FROM gm FULL JOIN pm USING (pattern)"))(lambda spark, d: measures.overlap(*_pair(spark, d)))
+query("overlap", _both("SELECT pattern, coalesce(gm.support, 0) AS left_support, coalesce(pm.support, 0) AS right_support, CASE WHEN pm.support IS NULL THEN 'left' WHEN gm.support IS NULL THEN 'right' ELSE 'both' END AS side FROM gm FULL JOIN pm USING (pattern)"))(lambda spark, d: measures.overlap(*_pair(spark, d)))
 query("overlap_counts", _both("SELECT CASE WHEN pm.support IS NULL THEN 'left' WHEN gm.support IS NULL THEN 'right' ELSE 'both' END AS side, count(*)::BIGINT AS patterns FROM gm FULL JOIN pm USING (pattern) GROUP BY 1"))(lambda spark, d: measures.overlap_counts(*_pair(spark, d)))
 
 
@@ -471,7 +471,7 @@ for _view, _k in REAL.items():
     query(f"real_{_view}", O.listing(_view, _k, 20, 10))(lambda spark, d, v=_view, k=_k: plain(mined(spark, d, v, f"{k / 20}", Options(maxgap=10))))
 
 _CASE = "pattern LIKE 'Brand#13 %' AND pattern LIKE '% Brand#13'"
-query("case_endpoints", f"WITH a AS (SELECT pattern, support FROM ({O.listing('basket_brand', 21, 100, 3)}) WHERE {_CASE}), b AS (SELECT pattern, support::BIGINT AS support FROM ({O.strict('basket_brand', 21, 100, (1, 10))} {_ALL}) WHERE {_CASE}) SELECT pattern, a.support AS left_support, b.support AS right_support, CASE WHEN b.support IS NULL THEN 'left' WHEN a.support IS NULL THEN 'right' ELSE 'both' END AS side FROM a FULL JOIN b USING (pattern)")(lambda spark, d: _case(spark, d))
+query("case_endpoints", f"WITH a AS (SELECT pattern, support FROM ({O.listing('basket_brand', 21, 100, 3)}) WHERE {_CASE}), b AS (SELECT pattern, support::BIGINT AS support FROM ({O.strict('basket_brand', 21, 100, (1, 10))} {_ALL}) WHERE {_CASE}) SELECT pattern, coalesce(a.support, 0) AS left_support, coalesce(b.support, 0) AS right_support, CASE WHEN b.support IS NULL THEN 'left' WHEN a.support IS NULL THEN 'right' ELSE 'both' END AS side FROM a FULL JOIN b USING (pattern)")(lambda spark, d: _case(spark, d))
 
 
 def _case(spark: SparkSession, d: str) -> DataFrame:
