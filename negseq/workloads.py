@@ -507,13 +507,13 @@ def gap_join(spark: SparkSession, d: str) -> DataFrame:
     return a.join(b, (F.col("sid") == F.col("sid_")) & F.col("q").between(F.col("p") + 1, F.col("p") + 3)).groupBy("x", "y").agg(F.count("*").alias("n"))
 
 
-@query("asof_last_before", f"WITH v AS ({O.VIEWS['clicks']}), y AS (SELECT * FROM v WHERE item = 'purchase'), x AS (SELECT * FROM v WHERE item = 'click') SELECT y.sid, y.pos, x.pos AS last_click FROM y ASOF LEFT JOIN x ON y.sid = x.sid AND y.pos > x.pos")
+@query("asof_last_before", f"WITH v AS ({O.VIEWS['clicks']}), y AS (SELECT * FROM v WHERE item = 'purchase'), x AS (SELECT * FROM v WHERE item = 'click') SELECT y.sid, y.pos, coalesce(x.pos, 0)::INTEGER AS last_click FROM y ASOF LEFT JOIN x ON y.sid = x.sid AND y.pos > x.pos")
 def asof_last_before(spark: SparkSession, d: str) -> DataFrame:
-    """The last click before each purchase, by a window."""
+    """The last click before each purchase (0: none), by a window."""
     from pyspark.sql import Window
 
     before = Window.partitionBy("sid").orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
-    return S.clicks(spark, d).withColumn("last_click", F.last(F.when(F.col("item") == "click", F.col("pos")), ignorenulls=True).over(before)).where("item = 'purchase'").select("sid", "pos", "last_click")
+    return S.clicks(spark, d).withColumn("last_click", F.last(F.when(F.col("item") == "click", F.col("pos")), ignorenulls=True).over(before)).where("item = 'purchase'").select("sid", "pos", F.coalesce("last_click", F.lit(0)).alias("last_click"))
 
 
 @query("anti_window", f"WITH v AS ({O.VIEWS['clicks']}) SELECT sid, pos FROM v a WHERE item = 'click' AND NOT EXISTS (SELECT 1 FROM v b WHERE b.sid = a.sid AND b.pos BETWEEN a.pos + 1 AND a.pos + 3 AND b.item = 'error')")
