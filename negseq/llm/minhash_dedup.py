@@ -8,11 +8,14 @@ reach the threshold is confirmed on the full sets. Two sets at a similarity of 0
 share no band with probability 7e-9 (0.8: 3e-6). As similar sets have similar sizes, a
 bucket is a band's key and one of two neighbouring classes of size, which loses no pair.
 
-Only components are wanted, so a bucket is not paired with itself. In each round some
-of its documents are hubs, about twice as many as in the last round, and are compared with
-the bucket's documents of other components; a hub has then met its whole bucket and
-leaves it. A bucket ends when what is left of it is of one component. Every pair of a
-bucket is thus compared, or is already connected: no link is lost.
+Only components are wanted, so a bucket is not paired with itself. First the bucket's
+document of least hash is its hub and is compared with the others; a hub has then met
+its whole bucket and leaves it. A bucket ends when what is left of it is of one
+component. The documents of the buckets that stay open are then grouped anew, by their rarest shingles, of which two linked ones
+must share one; in such a group each document outside the largest component is compared
+with those of other components, if what lies behind a common shingle can be enough.
+Every pair of a bucket is thus compared, is already connected,
+or cannot be linked: no link is lost.
 
 Defined results: a null, empty or blank text has an empty set and no link; fewer words
 than a shingle make one shingle of the whole sequence; rows of one id are one node; a
@@ -24,10 +27,12 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from functools import reduce
+from operator import add
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import words as W
@@ -111,55 +116,98 @@ def full_sets(shingle: int):
 def estimate(a: Column | str, b: Column | str, bits: int = 8) -> Column:
     """Similarity of two packed signatures: lanes whose bits all agree, counted with bit_count and corrected for the chance of a random agreement."""
 
-    def unequal(x: Column, y: Column) -> Column:
-        v = x.bitwiseXOR(y)
+    def unequal(i: int) -> Column:
+        v = F.get(a, F.lit(i)).bitwiseXOR(F.get(b, F.lit(i)))
         for shift in (4, 2, 1):
             v = v.bitwiseOR(F.shiftrightunsigned(v, shift))
         return F.bit_count(v.bitwiseAND(F.lit(0x0101010101010101)))
 
-    differ = F.aggregate(F.zip_with(a, b, unequal), F.lit(0), lambda s, x: s + x)
+    # one expression for each long, which compiles where a fold over the arrays does not
+    differ = reduce(add, [unequal(i) for i in range(HASHES // 8)])
     chance = 2.0**-bits
     return F.greatest(F.lit(0.0), (1 - differ / F.lit(float(HASHES)) - chance) / (1 - chance))
 
 
+def rare_shingles(full: DataFrame, ids: DataFrame, percent: int) -> DataFrame:
+    """Of each document of ids the shingles of which two linked ones share one at least: bucket, id, place.
+
+    Shingles are ordered by how many of these documents hold them. A document of n shingles
+    and a linked one share at least percent of n, so one of the first n - percent of n + 1.
+    Those that no other document holds come first and make no row. place counts from one.
+    """
+    held = full.join(ids.select("id"), "id", "left_semi").select("id", F.size("members").alias("n"), F.explode("members").alias("bucket"))
+    often = held.groupBy("bucket").agg(F.count("*").alias("docs")).where("docs > 1")
+    of_doc = Window.partitionBy("id")
+    place = F.row_number().over(of_doc.orderBy("docs", "bucket")) + F.col("n") - F.count("*").over(of_doc)
+    ranked = held.join(often, "bucket").withColumn("place", place)
+    return ranked.where(f"place <= n - (({percent} * n + 99) div 100) + 1").select("bucket", "id", "place")
+
+
+def in_main(rows: DataFrame) -> DataFrame:
+    """Rows of buckets of more than one component, with the largest one as main."""
+    kinds = rows.groupBy("bucket", "component").agg(F.count("*").alias("size"))
+    most = kinds.groupBy("bucket").agg(F.max_by("component", F.struct("size", "component")).alias("main"), F.count("*").alias("kinds")).where("kinds > 1")
+    return rows.join(most.select("bucket", "main"), "bucket")
+
+
 def near_links(signed: DataFrame, text: DataFrame, shingle: int, percent: int) -> DataFrame:
     """Links a, b that connect each component of the representatives."""
     spark = signed.sparkSession
     # sizes of a linked pair differ by a factor of 100 / percent at most, so their classes by one at most
     size_class = F.floor(F.log(F.col("n").cast("double")) / F.lit(math.log(100 / percent) * (1 + 1e-9))).cast("long")
     each = signed.select("id", F.explode("keys").alias("key"), size_class.alias("class"))
-    each = each.select("id", F.explode(F.array(F.xxhash64("key", "class"), F.xxhash64("key", F.col("class") + 1))).alias("bucket"))
-    size = each.groupBy("bucket").agg(F.count("*").alias("members")).where("members > 1")
-    left = written(each.join(size, "bucket").select("bucket", "id"), spark)
+    # a document is in the bucket of its class and, as a guest, in that of the next one
+    own = F.struct(F.xxhash64("key", "class").alias("bucket"), F.lit(False).alias("guest"))
+    next_ = F.struct(F.xxhash64("key", F.col("class") + 1).alias("bucket"), F.lit(True).alias("guest"))
+    each = each.select("id", F.explode(F.array(own, next_)).alias("at")).select("id", "at.bucket", "at.guest")
+    # guests alone meet in the bucket of their own class
+    size = each.groupBy("bucket").agg(F.count("*").alias("members"), F.min("guest").alias("guests")).where("members > 1 and not guests")
+    left = written(each.join(size, "bucket").select("bucket", "id", "guest"), spark)
     wanted = left.select("id").distinct()
     full = written(text.join(wanted, "id").select("id", "text").mapInArrow(full_sets(shingle), "id long, members array<long>").dropDuplicates(["id"]), spark)
     low = written(signed.join(wanted, "id").select("id", "n", "low"), spark)
     least = percent / 100 - DEVIATIONS * math.sqrt(percent / 100 * (1 - percent / 100) / HASHES)
-    edges, component, hubs = None, None, 1
-    while True:
-        now = left.withColumn("component", F.col("id")) if component is None else left.join(component, "id", "left").withColumn("component", F.coalesce("component", "id"))
-        at = F.xxhash64("id")
-        open_ = now.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("size"), F.min(at).alias("lead")).where("low <> high")
-        now = written(now.join(open_.select("bucket", "size", "lead"), "bucket"), spark)
-        if now.isEmpty():
-            break
-        # the id of least hash, and each other one with a probability of hubs / size
-        drawn = (F.pmod(F.shiftright(at, 20), F.lit(2**40)) / F.lit(2.0**40)) * F.col("size") < hubs
-        chosen = now.where(drawn | (at == F.col("lead"))).select("bucket", F.col("id").alias("hub"), F.col("component").alias("c"))
-        pairs = now.join(chosen, "bucket").where("component <> c").select(F.least("id", "hub").alias("a"), F.greatest("id", "hub").alias("b")).distinct()
-        sig = lambda k: low.select(F.col("id").alias(k), F.col("n").alias(f"n_{k}"), F.col("low").alias(f"low_{k}"))
-        likely = pairs.join(sig("a"), "a").join(sig("b"), "b").where(f"100 * n_a >= {percent} * n_b and 100 * n_b >= {percent} * n_a").where(estimate("low_a", "low_b") >= least).select("a", "b")
+    fits = f"100 * n_a >= {percent} * n_b and 100 * n_b >= {percent} * n_a"
+    likely_ = estimate("low_a", "low_b") >= least
+
+    def confirmed(likely: DataFrame) -> DataFrame:
         member = lambda k: full.select(F.col("id").alias(k), F.col("members").alias(f"of_{k}"))
         both = likely.join(member("a"), "a").join(member("b"), "b")
         common = F.size(F.array_intersect("of_a", "of_b"))
         found = both.select("a", "b", common.alias("common"), (F.size("of_a") + F.size("of_b")).alias("sizes"))
-        found = written(found.where(f"100 * common >= {percent} * (sizes - common)").select("a", "b"), spark)
+        return written(found.where(f"100 * common >= {percent} * (sizes - common)").select("a", "b"), spark)
+
+    edges, component = None, None
+    for first in (True, False):
+        now = left.withColumn("component", F.col("id")) if component is None else left.join(component, "id", "left").withColumn("component", F.coalesce("component", "id"))
+        if first:
+            at = F.xxhash64("id")
+            open_ = now.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.min(at).alias("lead")).where("low <> high")
+            now = written(now.join(open_.select("bucket", "lead"), "bucket"), spark)
+        else:
+            kinds = now.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low <> high")
+            still = written(now.join(kinds, "bucket", "left_semi").select("id", "component").distinct(), spark)
+            now = written(in_main(rare_shingles(full, still, percent).join(still, "id")).join(low, "id"), spark)
+        if now.isEmpty():
+            break
+        if first:
+            chosen = now.where(at == F.col("lead")).select("bucket", F.col("id").alias("hub"), F.col("component").alias("c"))
+            pairs = now.join(chosen, "bucket").where("component <> c").select(F.least("id", "hub").alias("a"), F.greatest("id", "hub").alias("b")).distinct()
+            sig = lambda k: low.select(F.col("id").alias(k), F.col("n").alias(f"n_{k}"), F.col("low").alias(f"low_{k}"))
+            likely = pairs.join(sig("a"), "a").join(sig("b"), "b").where(fits).where(likely_).select("a", "b")
+            left = now.select("bucket", "id", "guest").join(chosen.select("bucket", F.col("hub").alias("id")), ["bucket", "id"], "left_anti")
+        else:
+            side = lambda k: now.select("bucket", "main", *[F.col(c).alias(f"{c}_{k}") for c in ("id", "component", "n", "low", "place")])
+            outside = side("a").where("component_a <> main").drop("main")
+            once = "component_a <> component_b and (component_b = main or id_a < id_b)"
+            # nothing before their first common shingle is common, and at most what is behind it
+            bounded = f"{100 + percent} * (1 + least(n_a - place_a, n_b - place_b)) >= {percent} * (n_a + n_b)"
+            likely = outside.join(side("b"), "bucket").where(once).where(fits).where(bounded).where(likely_).select(F.least("id_a", "id_b").alias("a"), F.greatest("id_a", "id_b").alias("b")).distinct()
+        found = confirmed(likely)
         edges = found if edges is None else edges.unionAll(found)
         if not found.isEmpty():
             nodes = edges.select(F.explode(F.array("a", "b")).alias("id")).distinct()
             component = written(components(nodes, edges), spark)
-        left = now.select("bucket", "id").join(chosen.select("bucket", F.col("hub").alias("id")), ["bucket", "id"], "left_anti")
-        hubs *= 2
     return component if component is not None else spark.createDataFrame([], "id long, component long")
 
 
