@@ -8,7 +8,7 @@ reach the threshold is confirmed on the full sets. Two sets at a similarity of 0
 share no band with probability 7e-9 (0.8: 3e-6). As similar sets have similar sizes, a
 bucket is a band's key and one of two neighbouring classes of size, which loses no pair.
 
-Only components are wanted, so a bucket is not paired with itself. First the bucket's
+Only components are wanted, so a bucket is not paired with itself. In each of two rounds the bucket's
 document of least hash is its hub and is compared with the others; a hub has then met
 its whole bucket and leaves it. A bucket ends when what is left of it is of one
 component. The documents of the buckets that stay open are then grouped anew, by their rarest shingles, of which two linked ones
@@ -155,14 +155,14 @@ def near_links(signed: DataFrame, text: DataFrame, shingle: int, percent: int) -
     spark = signed.sparkSession
     # sizes of a linked pair differ by a factor of 100 / percent at most, so their classes by one at most
     size_class = F.floor(F.log(F.col("n").cast("double")) / F.lit(math.log(100 / percent) * (1 + 1e-9))).cast("long")
-    each = signed.select("id", F.explode("keys").alias("key"), size_class.alias("class"))
+    each = signed.select("id", "n", F.explode("keys").alias("key"), size_class.alias("class"))
     # a document is in the bucket of its class and, as a guest, in that of the next one
     own = F.struct(F.xxhash64("key", "class").alias("bucket"), F.lit(False).alias("guest"))
     next_ = F.struct(F.xxhash64("key", F.col("class") + 1).alias("bucket"), F.lit(True).alias("guest"))
-    each = each.select("id", F.explode(F.array(own, next_)).alias("at")).select("id", "at.bucket", "at.guest")
+    each = each.select("id", "n", F.explode(F.array(own, next_)).alias("at")).select("id", "n", "at.bucket", "at.guest")
     # guests alone meet in the bucket of their own class
     size = each.groupBy("bucket").agg(F.count("*").alias("members"), F.min("guest").alias("guests")).where("members > 1 and not guests")
-    left = written(each.join(size, "bucket").select("bucket", "id", "guest"), spark)
+    left = written(each.join(size, "bucket").select("bucket", "id", "n"), spark)
     wanted = left.select("id").distinct()
     full = written(text.join(wanted, "id").select("id", "text").mapInArrow(full_sets(shingle), "id long, members array<long>").dropDuplicates(["id"]), spark)
     low = written(signed.join(wanted, "id").select("id", "n", "low"), spark)
@@ -178,7 +178,7 @@ def near_links(signed: DataFrame, text: DataFrame, shingle: int, percent: int) -
         return written(found.where(f"100 * common >= {percent} * (sizes - common)").select("a", "b"), spark)
 
     edges, component = None, None
-    for first in (True, False):
+    for first in (True, True, False):
         now = left.withColumn("component", F.col("id")) if component is None else left.join(component, "id", "left").withColumn("component", F.coalesce("component", "id"))
         if first:
             at = F.xxhash64("id")
@@ -191,11 +191,11 @@ def near_links(signed: DataFrame, text: DataFrame, shingle: int, percent: int) -
         if now.isEmpty():
             break
         if first:
-            chosen = now.where(at == F.col("lead")).select("bucket", F.col("id").alias("hub"), F.col("component").alias("c"))
-            pairs = now.join(chosen, "bucket").where("component <> c").select(F.least("id", "hub").alias("a"), F.greatest("id", "hub").alias("b")).distinct()
-            sig = lambda k: low.select(F.col("id").alias(k), F.col("n").alias(f"n_{k}"), F.col("low").alias(f"low_{k}"))
-            likely = pairs.join(sig("a"), "a").join(sig("b"), "b").where(fits).where(likely_).select("a", "b")
-            left = now.select("bucket", "id", "guest").join(chosen.select("bucket", F.col("hub").alias("id")), ["bucket", "id"], "left_anti")
+            chosen = now.where(at == F.col("lead")).select("bucket", F.col("id").alias("hub"), F.col("n").alias("n_hub"), F.col("component").alias("c"))
+            pairs = now.join(chosen, "bucket").where("component <> c").where(f"100 * n >= {percent} * n_hub and 100 * n_hub >= {percent} * n").select(F.least("id", "hub").alias("a"), F.greatest("id", "hub").alias("b")).distinct()
+            sig = lambda k: low.select(F.col("id").alias(k), F.col("low").alias(f"low_{k}"))
+            likely = pairs.join(sig("a"), "a").join(sig("b"), "b").where(likely_).select("a", "b")
+            left = now.select("bucket", "id", "n").join(chosen.select("bucket", F.col("hub").alias("id")), ["bucket", "id"], "left_anti")
         else:
             side = lambda k: now.select("bucket", "main", *[F.col(c).alias(f"{c}_{k}") for c in ("id", "component", "n", "low", "place")])
             outside = side("a").where("component_a <> main").drop("main")
