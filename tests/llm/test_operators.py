@@ -104,6 +104,24 @@ def test_toxicity(spark):
     assert toxicity.score(docs_of(spark, rows[:2]), none).count() == 2
 
 
+@pytest.mark.parametrize("kind", ["no toxic row", "no clean row", "null labels", "empty table", "unknown ids"])
+def test_toxicity_without_both_classes(spark, tmp_path, kind):
+    import corpus_pipeline
+
+    rows = [(k, f"some plain words {k}", "a") for k in range(6)] + [(7, None, "a"), (None, "", "a")]
+    given = {"no toxic row": [(k, 0, 0) for k in range(6)], "no clean row": [(k, 0, 1) for k in range(6)], "null labels": [(k, None, None) for k in range(6)], "empty table": [], "unknown ids": [(k, 0, k % 2) for k in range(100, 120)]}[kind]
+    labels = spark.createDataFrame(given, "doc_id long, quality int, toxic int")
+    docs = docs_of(spark, rows)
+    assert all(r["score"] < 1e-9 for r in toxicity.score(docs, toxicity.fit(docs, labels, F.lit(True))).collect())
+    labels.write.parquet(str(tmp_path / "labels.parquet"))
+    assert corpus_pipeline.toxicity_stage(spark, docs, str(tmp_path)).count() == len(rows)
+
+
+def test_no_evidence_is_not_toxic():
+    slope, offset = toxicity._logistic(np.zeros(10), np.array([1] * 9 + [0]))
+    assert toxicity.Model({}, 1.0, 0.0, slope, offset).score(0.0) < 0.5
+
+
 def test_segments():
     m = toxicity.Model({}, 1.0, 0.0)
     rng = random.Random(7)
