@@ -3,7 +3,9 @@
 Each word has a log-odds of occurring in toxic text, smoothed by an informative
 Dirichlet prior (its share in both classes together). A word takes the highest log-odds
 of itself and its known prefixes, so inflected forms of a stem count. A linear scan over
-a document's scores finds every disjoint maximal-scoring segment. For random text the best segment follows an extreme-value law with
+a document's scores, those of every place, finds every disjoint maximal-scoring segment.
+In a segment a word counts once, so a passage is as toxic as its distinct words say, and
+the same words elsewhere in the document change nothing. For random text the best segment follows an extreme-value law with
 parameters lambda and K (lambda solves sum p(s) exp(lambda s) = 1), so a segment of
 score S among n words is unexpected by lambda S - log(K n) nats; significant segments
 add up to the document's evidence, which a logistic curve maps to 0..1.
@@ -19,6 +21,7 @@ learn from, every word scores 0 and every document 0 to within 1e-13.
 from __future__ import annotations
 
 import zlib
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -66,21 +69,17 @@ class Model:
     def word(self, word: str) -> float:
         return max([x for form in forms(word) if (x := self.weights.get(form)) is not None], default=COST)
 
-    def row(self, text: str | None, memo: dict[str, float]) -> list[float]:
-        """Scores of a text's words. The log-odds speak of documents that hold a word, so a word counts once in a document."""
-        out, seen = [], set()
-        for w in tokens(text or ""):
+    def row(self, text: str | None, memo: dict[str, float]) -> tuple[list[str], list[float]]:
+        """Words of a text and their log-odds, each at every place."""
+        words, out = tokens(text or ""), []
+        for w in words:
             x = memo.get(w)
             if x is None:
                 if len(memo) > 200_000:
                     memo.clear()
                 x = memo[w] = self.word(w)
-            if x > 0:
-                if w in seen:
-                    x = COST
-                seen.add(w)
             out.append(x)
-        return out
+        return words, out
 
     def segments(self, scores: list[float]) -> list[tuple[int, int, float]]:
         """Every disjoint maximal-scoring segment (first, end, score): a linear scan that keeps, for each open candidate, the running total before and after it."""
@@ -102,27 +101,104 @@ class Model:
             open_.append(now)
         return [(int(a), int(b), right - left) for a, b, left, right in open_]
 
-    def evidence(self, scores: list[float]) -> tuple[float, list[tuple[int, int, float]]]:
-        n = max(len(scores), 1)
-        found = [(a, b, e) for a, b, s in self.segments(scores) if (e := self.lam * s - self.log_k - np.log(n)) > 0]
+    def evidence(self, words: list[str], scores: list[float]) -> tuple[float, list[tuple[int, int, float]]]:
+        """Significant passages. A passage lies within a segment of the scan, whose score, with every repetition counted, bounds its own."""
+        cut = self.log_k + np.log(max(len(scores), 1))
+        near = [(a, b) for a, b, s in self.segments(scores) if self.lam * s > cut]
+        found = [(a, b, e) for x, y in near for a, b, s in distinct_segments(words, scores, x, y, cut / self.lam) if (e := self.lam * s - cut) > 0]
         return float(np.log1p(sum(e for *_, e in found))), found
 
     def score(self, evidence: float) -> float:
         return float(1 / (1 + np.exp(-np.clip(self.slope * evidence + self.offset, -30, 30))))
 
 
-def _calibrate(scores: np.ndarray) -> tuple[float, float]:
-    """lambda and log K of the best segment's extreme-value law, from the scores of words in clean text (K by its usual bound, the decay times the mean loss)."""
+def distinct_segments(words: list[str], scores: list[float], first: int, end: int, least: float = 0.0) -> list[tuple[int, int, float]]:
+    """The segments above least in first..end, in order: the best one, and in the same way those left and right of it. The log-odds speak of documents that hold a word, so in a segment a word counts once and costs COST at its other places.
+
+    A later start gains at least as much of each word as an earlier one, so a start that has no lead over the next never gets one. The scan keeps the live starts' leads; a word changes two of them."""
+    out: list[tuple[int, int, float]] = []
+    todo = [(first, end)]
+    while todo:
+        a, b = todo.pop()
+        lead: dict[int, float] = {}
+        before: dict[int, int] = {}
+        last: dict[str, int] = {}
+        head, total, best, at = a, 0.0, 0.0, (a, b)
+        for i in range(a, b):
+            x = scores[i]
+            lead[i], before[i] = x, _live(i - 1, lead, before)
+            total += x
+            weak = [i]
+            if x > 0:
+                k = _live(last.get(words[i], -1), lead, before)
+                last[words[i]] = i
+                if k >= 0:
+                    lead[k] -= x - COST
+                    total -= x - COST
+                    weak.append(k)
+            for k in weak:
+                while k >= 0 and lead.get(k, 1.0) <= 0:
+                    lost, p = lead.pop(k), _live(before[k], lead, before)
+                    before[k] = p
+                    if p >= 0:
+                        lead[p] += lost
+                    else:
+                        total, head = total - lost, k + 1
+                    k = p
+            if not lead:
+                total, head = 0.0, i + 1
+            while head <= i and head not in lead:
+                head += 1
+            if total > best + 1e-9:  # of equal ones the first
+                best, at = total, (head, i + 1)
+            elif best > 0 and head >= at[1]:
+                # no later segment begins before the end of the best one
+                break
+        if best > 0:
+            todo.append((at[1], b))
+        if best > max(least, 0.0):
+            out.append((*at, best))
+            todo.append((a, at[0]))
+    return sorted(out)
+
+
+def _live(k: int, lead: dict[int, float], before: dict[int, int]) -> int:
+    """The last live start up to k, or -1; shortens the way for the next search."""
+    way = []
+    while k >= 0 and k not in lead:
+        way.append(k)
+        k = before.get(k, -1)
+    for x in way:
+        before[x] = k
+    return k
+
+
+def _calibrate(scores: np.ndarray, counts: np.ndarray) -> tuple[float, float]:
+    """lambda and log K of the best segment's extreme-value law, from the scores of words in clean text and how often each occurs (K by its usual bound, the decay times the mean loss)."""
     if not (scores > 0).any():
         return 1.0, 0.0
     low, high = 1e-6, 1.0
-    excess = lambda x: np.mean(np.exp(np.minimum(x * scores, 700))) - 1
+    excess = lambda x: np.average(np.exp(np.minimum(x * scores, 700)), weights=counts) - 1
     while excess(high) < 0 and high < 64:
         high *= 2
     for _ in range(60):
         mid = (low + high) / 2
         low, high = (mid, high) if excess(mid) < 0 else (low, mid)
-    return low, float(np.log(max(low * abs(scores.mean()), 1e-9)))
+    return low, float(np.log(max(low * abs(np.average(scores, weights=counts)), 1e-9)))
+
+
+def count_scores(model: Model):
+    """How often each score occurs, at all places of the texts of the slice; there are no more scores than weights, and one."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        memo: dict[str, float] = {}
+        for batch in batches:
+            seen: Counter[float] = Counter()
+            for text in batch.column(0).to_pylist():
+                seen.update(model.row(text, memo)[1])
+            yield pa.RecordBatch.from_arrays([pa.array(list(seen), pa.float64()), pa.array(list(seen.values()), pa.int64())], ["score", "n"])
+
+    return run
 
 
 def fit(docs: DataFrame, labels: DataFrame, usable: Column, label_col: str = "toxic", id_col: str = "doc_id", text_col: str = "text", train_rows: int = TRAIN_ROWS) -> Model:
@@ -145,9 +221,10 @@ def fit(docs: DataFrame, labels: DataFrame, usable: Column, label_col: str = "to
     kept = weighed.where(F.col("w") > ODDS).select("form", "w").collect()
     weights = {r["form"]: float(min(r["w"], CAP)) for r in kept}
     model = Model(weights, 1.0, 0.0)
-    sample = rows.where("_toxic = 0").limit(2000).toPandas()["_text"]
-    words = np.array([model.word(w) for x in sample for w in tokens(x or "")] or [COST])
-    model.lam, model.log_k = _calibrate(np.r_[words, [max([*weights.values(), 1.0])]])
+    spread_of = rows.where("_toxic = 0").select("_text").mapInArrow(count_scores(model), "score double, n long").groupBy("score").agg(F.sum("n").alias("n")).orderBy("score").collect()
+    # the highest weight occurs once, so that a decay exists
+    values, times = [r["score"] for r in spread_of] or [COST], [r["n"] for r in spread_of] or [1]
+    model.lam, model.log_k = _calibrate(np.array([*values, max([*weights.values(), 1.0])]), np.array([*times, 1.0]))
     seen = rows.select(F.pandas_udf(_evidence(model), "double")("_text").alias("e"), "_toxic").toPandas()
     model.slope, model.offset = _logistic(seen["e"].to_numpy(), seen["_toxic"].to_numpy())
     return model
@@ -155,7 +232,7 @@ def fit(docs: DataFrame, labels: DataFrame, usable: Column, label_col: str = "to
 
 def _evidence(model: Model):
     def run(text: pd.Series) -> pd.Series:
-        return pd.Series([model.evidence(model.row(x, {}))[0] for x in text], dtype="float64")
+        return pd.Series([model.evidence(*model.row(x, {}))[0] for x in text], dtype="float64")
 
     return run
 
@@ -192,8 +269,8 @@ def scorer(model: Model):
         for batch in batches:
             scores, passages = [], []
             for text in batch.column(0).to_pylist():
-                row = model.row(text, memo)
-                e, found = model.evidence(row) if any(x > 0 for x in row) else (0.0, [])
+                split, row = model.row(text, memo)
+                e, found = model.evidence(split, row) if any(x > 0 for x in row) else (0.0, [])
                 scores.append(model.score(e))
                 passages.append([{"first": a, "end": b, "evidence": float(v)} for a, b, v in found])
             kind = pa.list_(pa.struct([("first", pa.int64()), ("end", pa.int64()), ("evidence", pa.float64())]))

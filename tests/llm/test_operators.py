@@ -132,6 +132,45 @@ def test_segments():
         assert (max((x for *_, x in got), default=0) == max(best, 0)) and all(b <= c for (_, b, _), (c, _, _) in zip(got, got[1:], strict=False))
 
 
+def brute_distinct(words, scores, first, end):
+    """Best segment by trying all, then left and right of it."""
+    best, at = 0.0, None
+    for a in range(first, end):
+        seen, total = set(), 0.0
+        for b in range(a, end):
+            total += toxicity.COST if scores[b] > 0 and words[b] in seen else scores[b]
+            seen.add(words[b])
+            if total > best + 1e-9:
+                best, at = total, (a, b + 1)
+    return [] if at is None else [*brute_distinct(words, scores, first, at[0]), (*at, round(best, 6)), *brute_distinct(words, scores, at[1], end)]
+
+
+def test_distinct_segments():
+    rng = random.Random(11)
+    for k in range(600):
+        weight = {w: rng.uniform(0.3, 3) for w in "abcdef"[: rng.randrange(1, 7)]}
+        text = [rng.choice([*weight, *"." * rng.randrange(1, 12)]) for _ in range(rng.randrange(1, 60))]
+        scores = [weight.get(w, toxicity.COST) for w in text]
+        got = [(a, b, round(s, 6)) for a, b, s in toxicity.distinct_segments(text, scores, 0, len(text))]
+        want = brute_distinct(text, scores, 0, len(text))
+        assert max((s for *_, s in got), default=0) == max((s for *_, s in want), default=0), (text, scores)
+        assert got == want, (text, scores)
+
+
+def test_toxic_passage_after_scattered_words():
+    """Words that occurred far apart before, and the same passage twice, are passages still; one word over and over is none."""
+    bad = [f"vile{k}" for k in range(8)]
+    m = toxicity.Model({w: 3.0 for w in bad}, 0.5, 0.0)
+    filler = ["plain"] * 200
+    scattered = [x for w in bad for x in [w, *filler]]
+    text = [*scattered, *bad, *filler, *bad, *filler]
+    e, found = m.evidence(*m.row(" ".join(text), {}))
+    at = len(scattered)
+    assert e > 0 and [(a, b) for a, b, _ in found] == [(at, at + 8), (at + 208, at + 216)]
+    assert m.evidence(*m.row(" ".join(["vile1"] * 3000), {})) == (0.0, [])
+    assert toxicity.distinct_segments(["plain"], [toxicity.COST], 0, 1, -5.0) == []
+
+
 PAGES = "page_id long, url string, html string, id long, digest string"
 
 
