@@ -89,6 +89,26 @@ def monitor(events: DataFrame, patterns: list[str], c: Constraints = FREE, delay
     return clean.groupBy("sid").applyInPandasWithState(run, OUTPUT, "saved string", "append", GroupStateTimeout.EventTimeTimeout)
 
 
+def replay(events: DataFrame, patterns: list[str], c: Constraints = FREE, delay: str = "1 hour", slices: int = 4, path: str = "") -> DataFrame:
+    """All completions of a finite table (sid, at, item), sent through monitor() in order of time; path: a shared folder.
+
+    Each slice of time is written and run to its end before the next, so no row is late whatever order a source reads files in. A closing row beyond the last event then
+    moves the watermark past all that waits; it is later than any other row and so completes nothing."""
+    spark = events.sparkSession
+    clean = events.select(F.col("sid").cast("long").alias("sid"), F.col("at").cast("timestamp").alias("at"), F.col("item").cast("string").alias("item")).where("sid is not null and at is not null and item is not null")
+    if clean.isEmpty():
+        return spark.createDataFrame([], OUTPUT)
+    second = F.unix_timestamp("at")
+    cuts = sorted(set(clean.select(second.cast("double").alias("x")).approxQuantile("x", [k / slices for k in range(1, slices)], 0.01)))
+    parts = [clean.where((second > low if low is not None else F.lit(True)) & (second <= high if high is not None else F.lit(True))) for low, high in zip([None, *cuts], [*cuts, None], strict=True)]
+    closing = clean.agg(F.max("sid").alias("sid"), (F.max("at") + F.expr(f"interval {delay}") + F.expr("interval 1 second")).alias("at")).select("sid", "at", F.lit("").alias("item"))
+    for part in [*parts, closing]:
+        part.write.mode("append").parquet(f"{path}/in")
+        found = monitor(spark.readStream.schema(clean.schema).parquet(f"{path}/in"), patterns, c, delay)
+        found.writeStream.format("parquet").option("path", f"{path}/out").option("checkpointLocation", f"{path}/log").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(OUTPUT).parquet(f"{path}/out")
+
+
 def item_rates(events: DataFrame, window: str, slide: str | None = None, session: str | None = None, delay: str = "1 hour") -> DataFrame:
     """Events per item and tumbling, sliding or session window."""
     span = F.session_window("at", session) if session else F.window("at", window, slide)

@@ -585,14 +585,7 @@ def stream_monitor(spark: SparkSession, d: str) -> DataFrame:
     import uuid
 
     from .plans.stage import shared_dir
-    from .streaming.monitor import OUTPUT, monitor
-
-    path = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
-    schema = S.load(spark, d, "events").schema
-    # a stream reads folders, so the events are replayed from a few files in order of time
-    S.load(spark, d, "events").repartitionByRange(4, "ts").write.parquet(f"{path}/in")
-    events = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{path}/in").select(F.col("user_id").alias("sid"), F.col("ts").cast("timestamp").alias("at"), F.col("event_type").alias("item"))
-    found = monitor(events, ["click !error purchase", "view signup"], Constraints(maxgap=5))
-    started = found.writeStream.format("parquet").option("path", f"{path}/out").option("checkpointLocation", f"{path}/log").trigger(availableNow=True).start()
-    started.awaitTermination()
-    return spark.read.schema(OUTPUT).parquet(f"{path}/out")
+    from .streaming.monitor import replay
+
+    events = S.load(spark, d, "events").select(F.col("user_id").alias("sid"), F.col("ts").cast("timestamp").alias("at"), F.col("event_type").alias("item"))
+    return replay(events, ["click !error purchase", "view signup"], Constraints(maxgap=5), path=f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}")

@@ -24,6 +24,24 @@ def test_tracker_is_batch():
             assert got == want, (s, c)
 
 
+def test_replay_is_batch(spark, tmp_path):
+    """Every completion comes out, also those of the last hour."""
+    from datetime import datetime, timedelta
+
+    from negseq.streaming.monitor import replay
+
+    rng, rows, want = random.Random(9), [], set()
+    patterns, c = [parse("a !c b"), parse("a b")], Constraints(3)
+    for sid in range(6):
+        at = sorted(rng.sample(range(0, 8 * 3600, 60), 12))
+        s = [[rng.choice("abc")] for _ in at]
+        rows += [(sid, datetime(2024, 1, 1) + timedelta(seconds=t), x[0]) for t, x in zip(at, s, strict=True)]
+        want |= {(sid, p.text, e[-1]) for p in patterns for e in embeddings(s, p, c) if first_violation(s, p, e, GROWTH) is None}
+    rng.shuffle(rows)
+    got = replay(spark.createDataFrame(rows, "sid long, at timestamp, item string"), [p.text for p in patterns], c, path=str(tmp_path)).collect()
+    assert len(got) == len(want) and {(r["sid"], r["pattern"], r["position"]) for r in got} == want
+
+
 def test_tracker_state_survives_json():
     import json
 
