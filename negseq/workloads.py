@@ -301,9 +301,15 @@ for _s in ALL:
     _COMPARE.append(f"SELECT pattern, '{_s.non_inclusion}' AS non_inclusion, '{_s.embedding}' AS embedding, '{_s.occurrence}' AS occurrence, support FROM ({_q})")
 query("compare_semantics", " UNION ALL ".join(_COMPARE))(lambda spark, d: matching.compare_semantics(nested(spark, d, "days"), [COMPARED], ALL, Constraints(4)))
 query("semantics_counts", f"SELECT non_inclusion, embedding, occurrence, sum(CASE WHEN support >= 75 THEN 1 ELSE 0 END)::BIGINT AS frequent, sum(support)::BIGINT AS total FROM ({' UNION ALL '.join(_COMPARE)}) GROUP BY 1, 2, 3")(
-    lambda spark, d: matching.compare_semantics(nested(spark, d, "days"), [COMPARED], ALL, Constraints(4)).groupBy("non_inclusion", "embedding", "occurrence").agg(F.sum(F.when(F.col("support") >= 75, 1).otherwise(0)).cast("long").alias("frequent"), F.sum("support").alias("total"))
+    lambda spark, d: _semantics_counts(nested(spark, d, "days"))
 )
 
+
+def _semantics_counts(days: DataFrame) -> DataFrame:
+    """Frequent: held by half of the sequences."""
+    half = F.when(F.col("support") >= growth.threshold(days.count(), "0.5"), 1).otherwise(0)
+    return matching.compare_semantics(days, [COMPARED], ALL, Constraints(4)).groupBy("non_inclusion", "embedding", "occurrence").agg(F.sum(half).cast("long").alias("frequent"), F.sum("support").alias("total"))
+
 # ---- comparison of mined sets
 
 _GAP = O.mined("priority", 1, 5, 3)[len("WITH ") :].replace("v AS", "v AS", 1)
@@ -341,9 +347,10 @@ def gap_lost(spark: SparkSession, d: str) -> DataFrame:
 @query("partner_missed", f"""WITH a AS (SELECT pattern, support, n_neg FROM ({O.mined('tags', 1, 2, 10)} SELECT * FROM m)), p AS (SELECT * FROM ({O.strict('tags', 1, 2, (7, 10))} {_ALL})),
 k AS (SELECT * FROM ({O.listing('tags', 1, 250, None, ('x y z',))})) SELECT a.pattern, a.support::BIGINT AS support, coalesce(k.support, 0)::BIGINT AS partner_support FROM a LEFT JOIN k ON k.pattern = replace(a.pattern, '!', '') WHERE a.n_neg = 1 AND a.pattern NOT IN (SELECT pattern FROM p) AND coalesce(k.support, 0) < 88""")
 def partner_missed(spark: SparkSession, d: str) -> DataFrame:
-    """Patterns that growth finds and whose positive partner is rarer than the partner threshold (70 % of half of 250 pages)."""
+    """Patterns that growth finds and whose positive partner is rarer than the partner threshold, 70 % of half of the pages."""
     items = S.tags(spark, d)
-    return measures.missed_by_partner(growth.mine(items, "0.5", Options(maxgap=10)), baselines.mine_partner(items, "0.5", 0.7), growth.mine(items, 1, Options(negatives=False, max_itemsets=3)), 88)
+    half = growth.threshold(growth.n_sequences(items), "0.5")
+    return measures.missed_by_partner(growth.mine(items, half, Options(maxgap=10)), baselines.mine_partner(items, half, 0.7), growth.mine(items, 1, Options(negatives=False, max_itemsets=3)), growth.threshold(half, "0.7"))
 
 
 # ---- after mining

@@ -81,6 +81,23 @@ def test_generator(spark):
     assert profile["sequences"] == 200 and 17 < profile["mean_len"] < 23 and profile["alphabet"] == 20
 
 
+def test_thresholds_follow_the_data(spark, tmp_path, monkeypatch):
+    from negseq import workloads
+
+    d = str(tmp_path)
+    rows = [(u, f"2024-01-0{k} 00:00:00", x) for u in range(4) for k, x in enumerate(("click", "refund", "signup"), 1)]
+    spark.createDataFrame(rows, "user_id long, ts string, event_type string").selectExpr("user_id", "timestamp(ts) AS ts", "event_type").write.parquet(f"{d}/events.parquet")
+    got = workloads.QUERIES["semantics_counts"](spark, d).collect()
+    assert got and all((r["frequent"], r["total"]) == (1, 4) for r in got)
+    used = {}
+    monkeypatch.setattr(workloads.growth, "mine", lambda items, sigma, options: used.setdefault(options.negatives, sigma))
+    monkeypatch.setattr(workloads.baselines, "mine_partner", lambda items, sigma, ratio: None)
+    monkeypatch.setattr(workloads.measures, "missed_by_partner", lambda a, b, c, low: low)
+    for n, low in ((10, 4), (250, 88), (2500, 875)):
+        spark.range(n).selectExpr("id AS page_id", "'<p>' AS html").write.mode("overwrite").parquet(f"{d}/pages.parquet")
+        assert workloads.QUERIES["partner_missed"](spark, d) == low
+
+
 def test_time_limit(spark):
     import time
 
