@@ -472,7 +472,7 @@ def length_effect(spark: SparkSession, d: str) -> DataFrame:
     return out
 
 
-#: Share, of 20, and view of the real data table; gap 10, three items (the bench has five).
+#: Share, of 20, and view of the real data table; gap 10, three items, growth only (README: reduced settings).
 REAL = {"clicks": 19, "days": 19, "priority": 10, "turns": 1, "words": 4, "tags": 16, "basket_brand": 13}
 for _view, _k in REAL.items():
     query(f"real_{_view}", O.listing(_view, _k, 20, 10))(lambda spark, d, v=_view, k=_k: plain(mined(spark, d, v, f"{k / 20}", Options(maxgap=10))))
