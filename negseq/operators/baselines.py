@@ -100,12 +100,15 @@ def mine_strict(items: DataFrame, sigma, options: Options | None = None) -> Data
     """Strict occurrence with gap constraints: every constrained embedding of the positive part must lack the absence.
 
     For each frequent positive pattern all embeddings are enumerated (no pruning of ends is allowed here); a sequence
-    violates (gap, item) if any of its embeddings has the item in that gap. An absence pattern of one negated item in
-    one or more gaps loses the union of its violators.
+    violates (gap, item) if any of its embeddings has the item in that gap. Patterns have one negated item in one gap;
+    options that allow more are refused.
     """
     from dataclasses import replace
 
     o = options or Options()
+    sets, sizes = o.max_items is None or o.max_items >= 5, o.max_items is None or o.max_items >= 4
+    if o.negatives and ((sets and (o.max_itemsets is None or o.max_itemsets > 2)) or (sizes and (o.max_neg_size is None or o.max_neg_size > 1))):
+        raise ValueError("strict occurrence is mined with one negated item in one gap: max_items < 5 or max_itemsets <= 2, and max_neg_size = 1 from four items on")
     n = n_sequences(items)
     minsup = max(1, threshold(n, sigma))
     positive = mine(items, minsup, replace(o, negatives=False), sequences=n)

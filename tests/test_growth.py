@@ -108,3 +108,9 @@ def test_extension_joins_do_not_shuffle_the_store(spark):
     miner = growth.Miner(items_of(spark, db), 2, Options())
     plan = miner.store._jdf.queryExecution().executedPlan().toString()
     assert "InMemoryTableScan" in plan
+
+
+@pytest.mark.parametrize("o", [Options(max_items=5), Options(max_items=None), Options(max_items=4, max_neg_size=2)])
+def test_strict_refuses_more_than_one_absence(o):
+    with pytest.raises(ValueError, match="one negated item"):
+        baselines.mine_strict(None, "0.5", o)
