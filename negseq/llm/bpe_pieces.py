@@ -12,8 +12,15 @@ also ends a segment and is written as its bytes. Runs of two or more marks have
 scores, where the compatibility of neighbours does not decide; such segments are
 merged directly.
 
+The first try of the search is the automaton's longest matches from left to right; only
+where two of them do not fit does it go back. A worker remembers the ids of segments it
+has seen and which pieces may follow which, both of bounded size, and takes texts in
+slices of bounded bytes. The decoded text of a segment is made from its ids once; where
+it is the segment itself, as in all sound text, the memory need not hold it.
+
 Defined results: null and empty text encode to the end id alone and decode to the empty
-text; very long texts are a stream of segments.
+text; very long texts are a stream of segments; repeated rows each get their ids; extra
+columns are not read.
 """
 
 from __future__ import annotations
@@ -24,13 +31,21 @@ import sys
 import types
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import words as W
+
 MARK = "▁"
-#: Segments, and pairs, of each of two generations that a worker remembers.
-MEMO = 500_000
+#: Segments of each of two generations that a worker remembers, of at most LONGEST characters (about 200 bytes each with its ids), and pairs of pieces (about 90 bytes each).
+MEMO, LONGEST, PAIRS = 400_000, 40, 400_000
+#: Bytes of text handled at once.
+SLICE = 1 << 20
+#: Up to this length a text is merged by scanning its pairs; beyond it by a queue.
+SCANNED = 64
+NEVER = float("-inf")
 
 
 class Vocabulary:
@@ -70,16 +85,37 @@ class Encoder:
         import ahocorasick
 
         self.v = vocabulary
+        self.names = [p for p, *_ in vocabulary.pieces]
         self.automaton = ahocorasick.Automaton()
-        for p in vocabulary.id:
-            self.automaton.add_word(p, len(p))
+        for p, i in vocabulary.id.items():
+            self.automaton.add_word(p, i)
         self.automaton.make_automaton()
-        self.sure: dict[tuple[str, str], bool] = {}
-        self.memo: dict[str, tuple[int, str, str]] = {}
-        self.older: dict[str, tuple[int, str, str]] = {}
+        self.size = [len(p) for p in self.names]
+        #: The longest piece that begins a piece and is not all of it, or -1.
+        self.shorter = [next((i for k in range(len(p) - 1, 0, -1) if (i := vocabulary.id.get(p[:k])) is not None), -1) for p in self.names]
+        self.sure: dict[int, bool] = {}
+        self.memo: dict[str, str] = {}
+        self.older: dict[str, str] = {}
+        self.plain = True
 
     def merged(self, text: str) -> list[str]:
-        """Direct merging: a queue of pairs by score and place."""
+        """Direct merging: the pair of highest score first, of equal ones the leftmost."""
+        if len(text) > SCANNED:
+            return self.merged_by_queue(text)
+        parts, score = list(text), self.v.score
+        pairs = [score.get(a + b, NEVER) for a, b in zip(parts, parts[1:], strict=False)]
+        while pairs and (best := max(pairs)) > NEVER:
+            i = pairs.index(best)
+            parts[i : i + 2] = [parts[i] + parts[i + 1]]
+            del pairs[i]
+            if i:
+                pairs[i - 1] = score.get(parts[i - 1] + parts[i], NEVER)
+            if i < len(pairs):
+                pairs[i] = score.get(parts[i] + parts[i + 1], NEVER)
+        return parts
+
+    def merged_by_queue(self, text: str) -> list[str]:
+        """The same with a queue of pairs by score and place."""
         parts: list[str | None] = list(text)
         left, right = list(range(-1, len(parts) - 1)), list(range(1, len(parts) + 1))
         queue: list[tuple[float, int, str, int]] = []
@@ -103,63 +139,66 @@ class Encoder:
             offer(i)
         return [p for p in parts if p is not None]
 
-    def follows(self, a: str, b: str) -> bool:
-        """Whether merging both texts anew gives these two pieces; a is empty at the beginning."""
-        found = self.sure.get((a, b))
+    def follows(self, a: int, b: int) -> bool:
+        """Whether merging both texts anew gives these two pieces; a is -1 at the beginning."""
+        pair = (a + 1) * len(self.names) + b
+        found = self.sure.get(pair)
         if found is None:
-            if len(self.sure) >= MEMO:
+            if len(self.sure) >= PAIRS:
                 self.sure.clear()
-            found = self.sure[a, b] = self.merged(a + b) == ([a, b] if a else [b])
+            left, right = self.names[a] if a >= 0 else "", self.names[b]
+            found = self.sure[pair] = self.merged(left + right) == ([left, right] if left else [right])
         return found
 
-    def backtracked(self, text: str) -> list[str]:
-        n = len(text)
-        begins: list[list[int]] = [[] for _ in range(n)]
-        for last, size in self.automaton.iter(text):
-            begins[last + 1 - size].append(size)
+    def longest(self, text: str, at: int) -> int:
+        """The longest piece that begins at this place."""
+        last, piece = next(self.automaton.iter_long(text, at), (-1, -1))
+        return piece if last + 1 - self.size[piece] == at else -1
+
+    def backtracked(self, text: str) -> list[int]:
+        n, size, shorter, sure, width = len(text), self.size, self.shorter, self.sure, len(self.names)
         good = (1 << (n + 1)) - 1
-        out: list[str] = []
-        tried: list[int] = []
-        at, sure, before = 0, self.sure, ""
-        option = len(begins[0]) - 1
-        while at < n:
-            sizes = begins[at]
-            while option >= 0:
-                stop = at + sizes[option]
+        out: list[int] = []
+        at, before = 0, -1
+        piece = self.longest(text, 0)
+        while True:
+            while piece >= 0:
+                stop = at + size[piece]
                 if good >> stop & 1:
-                    piece = text[at:stop]
-                    fits = sure.get((before, piece))
+                    fits = sure.get((before + 1) * width + piece)
                     if self.follows(before, piece) if fits is None else fits:
                         break
-                option -= 1
-            if option >= 0:
+                piece = shorter[piece]
+            if piece >= 0:
                 out.append(piece)
-                tried.append(option)
+                if stop == n:
+                    return out
                 at, before = stop, piece
-                option = len(begins[at]) - 1 if at < n else 0
+                piece = self.longest(text, at)
             elif out:
                 good &= ~(1 << at)
-                at -= len(out.pop())
-                before = out[-1] if out else ""
-                option = tried.pop() - 1
+                piece = out.pop()
+                at -= size[piece]
+                before = out[-1] if out else -1
+                piece = shorter[piece]
             else:
-                return self.merged(text)
-        return out
+                return self.merged_ids(text)
+
+    def merged_ids(self, text: str) -> list[int]:
+        return [i for p in self.merged(text) for i in self.v.ids_of(p)]
 
     def segment(self, text: str) -> list[int]:
         """Ids of a segment: marks, then other characters."""
         v = self.v
         if v.chars.issuperset(text) and not text.startswith(MARK * 2):
-            return [i for p in self.backtracked(text) for i in v.ids_of(p)]
+            return self.backtracked(text)
         out, run = [], ""
         for c in [*text, None]:
             if c is not None and c in v.chars:
                 run += c
                 continue
             if run:
-                parts = self.merged(run) if run.startswith(MARK * 2) else self.backtracked(run)
-                for p in parts:
-                    out += v.ids_of(p)
+                out += self.merged_ids(run) if run.startswith(MARK * 2) else self.backtracked(run)
                 run = ""
             if c is not None:
                 out += [v.byte[b] for b in c.encode("utf-8", "surrogatepass")]
@@ -213,19 +252,43 @@ class Encoder:
             out.append(MARK * marks)
         return out
 
-    def known(self, segment: str) -> tuple[int, str, str]:
-        """Number of ids, the ids as text, the decoded text of a segment."""
-        found = self.memo.get(segment) or self.older.get(segment)
+    def written(self, segment: str) -> str:
+        """The ids of a segment as text. A segment that begins with one mark is remembered without it, one that begins with a line break as it is."""
+        one = segment[0] == MARK and segment[1:2] != MARK
+        key = segment[1:] if one else segment
+        kept = 0 < len(key) <= LONGEST and (one or segment[0] in "\n" + MARK)
+        found = (self.memo.get(key) or self.older.get(key)) if kept else None
         if found is None:
             ids = self.segment(segment)
-            found = len(ids), " ".join(map(str, ids)), self.surface(ids)
-        if len(segment) <= 40:
+            found = " ".join(map(str, ids))
+            if "".join([self.names[i] for i in ids]) != segment and self.surface(ids) != segment.replace(MARK, " "):
+                self.plain = kept = False
+        if kept:
             if len(self.memo) >= MEMO:
                 # what is in use comes back from the older generation
                 self.older, self.memo = self.memo, {}
-            self.memo[segment] = found
+            self.memo[key] = found
         return found
 
+    def listed(self, text: str) -> tuple[str, str]:
+        """The ids of a text, without the end, as text; the decoded text."""
+        if not text:
+            return "", ""
+        v = self.v
+        self.plain = True
+        parts = text.replace(MARK, " ").replace("\n", " \n").split(" ")
+        if v.add_prefix and "\n" not in v.chars and parts[0][:1] != "\n" and "" not in parts:
+            found = [self.memo.get(p) or self.written(p if p[0] == "\n" else MARK + p) for p in parts]
+            whole = text.replace(MARK, " ")
+        else:
+            segments = self.segments(text)
+            found = [self.written(s) for s in segments]
+            whole = "".join(segments).replace(MARK, " ")
+            whole = whole[1:] if v.add_prefix and segments[0][0] == MARK else whole
+        ids = " ".join(found)
+        # each segment has been decoded from its ids; only where one is not itself again all are
+        return ids, whole if self.plain else self.decode([int(i) for i in ids.split(" ")])
+
     def encode(self, text: str, end: bool = True) -> list[int]:
         ids = [i for s in self.segments(text or "") for i in self.segment(s)]
         return [*ids, self.v.end] if end else ids
@@ -245,25 +308,21 @@ def digests(vocabulary, with_ids: bool = False):
         if kept.get("vocabulary") is not vocabulary.value:
             kept["vocabulary"], kept["encoder"] = vocabulary.value, Encoder(vocabulary.value)
         encoder = kept["encoder"]
-        end, known = str(encoder.v.end), encoder.known
-        for batch in batches:
-            n, ids, decoded, lists = [], [], [], []
-            for text in batch.column(1).to_pylist():
-                memo = encoder.memo
-                rows = [memo.get(s) or known(s) for s in encoder.segments(text or "")]
-                whole = "".join([r[2] for r in rows])
-                if rows and encoder.v.add_prefix and whole[:1] == " ":
-                    whole = whole[1:]
-                n.append(sum([r[0] for r in rows]) + 1)
-                listed = " ".join([*[r[1] for r in rows], end])
+        end = str(encoder.v.end)
+        for part in W.pieces(batches, "text", SLICE):
+            n, ids, decoded, flat = [], [], [], []
+            for text in part.column(1):
+                listed, whole = encoder.listed(text.as_py() or "")
+                listed = f"{listed} {end}" if listed else end
+                n.append(listed.count(" ") + 1)
                 ids.append(hashlib.sha256(listed.encode()).hexdigest())
                 decoded.append(hashlib.sha256(whole.encode("utf-8", "surrogatepass")).hexdigest())
                 if with_ids:
-                    lists.append([int(x) for x in listed.split(" ")])
-            out = [batch.column(0), pa.array(n, pa.int64()), pa.array(ids, pa.string()), pa.array(decoded, pa.string())]
+                    flat.append(np.fromstring(listed, np.int32, sep=" "))
+            out = [part.column(0), pa.array(n, pa.int64()), pa.array(ids, pa.string()), pa.array(decoded, pa.string())]
             names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
             if with_ids:
-                out.append(pa.array(lists, pa.list_(pa.int32())))
+                out.append(W.lists(pa.array(np.concatenate(flat)), np.array(n)))
                 names.append("ids")
             yield pa.RecordBatch.from_arrays(out, names)
 
