@@ -8,14 +8,18 @@ reach the threshold is confirmed on the full sets. Two sets at a similarity of 0
 share no band with probability 7e-9 (0.8: 3e-6). As similar sets have similar sizes, a
 bucket is a band's key and one of two neighbouring classes of size, which loses no pair.
 
-Only components are wanted, so a bucket is not paired with itself. In each of two rounds the bucket's
+Only components are wanted, so a bucket is not paired with itself. In each of a few rounds the bucket's
 document of least hash is its hub and is compared with the others; a hub has then met
 its whole bucket and leaves it. A bucket ends when what is left of it is of one
-component. The documents of the buckets that stay open are then grouped anew, by their rarest shingles, of which two linked ones
-must share one; in such a group each document outside the largest component is compared
-with those of other components, if what lies behind a common shingle can be enough.
-Every pair of a bucket is thus compared, is already connected,
-or cannot be linked: no link is lost.
+component. The documents of the buckets that stay open are then grouped anew, by their rarest
+shingles, of which two linked ones must share one (an exact prefix bound); in such a group each
+document outside the largest component meets those of other components, in parts of bounded size.
+A pair goes on only at the first of its common rare shingles, if what lies behind it can be enough
+and the packed signatures allow it.
+
+What is lost: a pair of similarity s is missed if it shares no band, (1 - s^5)^32, or if its estimate
+lies more than 5.5 standard deviations low (about 2e-8). Every other pair that shares a bucket is
+compared, already connected, or under the threshold.
 
 Defined results: a null, empty or blank text has an empty set and no link; fewer words
 than a shingle make one shingle of the whole sequence; rows of one id are one node; a
@@ -41,6 +45,10 @@ from .shared import components, written
 HASHES, BANDS, ROWS = 160, 32, 5
 #: A pair whose estimate is so many standard deviations under the threshold is out.
 DEVIATIONS = 5.5
+#: Rounds of hubs before documents are grouped by their rarest shingles.
+HUB_ROUNDS = 3
+#: Rarest shingles that a row carries to tell the first common one, and documents outside the largest component that meet a group in one task.
+CARRIED, PART = 16, 256
 
 _rng = np.random.Generator(np.random.PCG64(77))
 _FACTOR = _rng.integers(1, 2**63, HASHES, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -129,7 +137,7 @@ def estimate(a: Column | str, b: Column | str, bits: int = 8) -> Column:
 
 
 def rare_shingles(full: DataFrame, ids: DataFrame, percent: int) -> DataFrame:
-    """Of each document of ids the shingles of which two linked ones share one at least: bucket, id, place.
+    """Of each document of ids the shingles of which two linked ones share one at least: bucket, id, place, begin (the first of them, in order).
 
     Shingles are ordered by how many of these documents hold them. A document of n shingles
     and a linked one share at least percent of n, so one of the first n - percent of n + 1.
@@ -138,16 +146,18 @@ def rare_shingles(full: DataFrame, ids: DataFrame, percent: int) -> DataFrame:
     held = full.join(ids.select("id"), "id", "left_semi").select("id", F.size("members").alias("n"), F.explode("members").alias("bucket"))
     often = held.groupBy("bucket").agg(F.count("*").alias("docs")).where("docs > 1")
     of_doc = Window.partitionBy("id")
-    place = F.row_number().over(of_doc.orderBy("docs", "bucket")) + F.col("n") - F.count("*").over(of_doc)
-    ranked = held.join(often, "bucket").withColumn("place", place)
-    return ranked.where(f"place <= n - (({percent} * n + 99) div 100) + 1").select("bucket", "id", "place")
+    at = F.row_number().over(of_doc.orderBy("docs", "bucket"))
+    ranked = held.join(often, "bucket").select("id", "n", "bucket", at.alias("at"), (at + F.col("n") - F.count("*").over(of_doc)).alias("place"))
+    ranked = ranked.where(f"place <= n - (({percent} * n + 99) div 100) + 1")
+    begin = F.transform(F.array_sort(F.collect_list(F.when(F.col("at") <= CARRIED, F.struct("at", "bucket")))), lambda x: x["bucket"])
+    return ranked.join(ranked.groupBy("id").agg(begin.alias("begin")), "id").select("bucket", "id", "place", "begin")
 
 
 def in_main(rows: DataFrame) -> DataFrame:
-    """Rows of buckets of more than one component, with the largest one as main."""
+    """Rows of buckets of more than one component, with the largest one as main and the number of parts for the others."""
     kinds = rows.groupBy("bucket", "component").agg(F.count("*").alias("size"))
-    most = kinds.groupBy("bucket").agg(F.max_by("component", F.struct("size", "component")).alias("main"), F.count("*").alias("kinds")).where("kinds > 1")
-    return rows.join(most.select("bucket", "main"), "bucket")
+    most = kinds.groupBy("bucket").agg(F.max_by("component", F.struct("size", "component")).alias("main"), F.count("*").alias("kinds"), F.ceil((F.sum("size") - F.max("size")) / PART).cast("int").alias("parts")).where("kinds > 1")
+    return rows.join(most.select("bucket", "main", "parts"), "bucket")
 
 
 def near_links(signed: DataFrame, text: DataFrame, shingle: int, percent: int) -> DataFrame:
@@ -178,7 +188,7 @@ def near_links(signed: DataFrame, text: DataFrame, shingle: int, percent: int) -
         return written(found.where(f"100 * common >= {percent} * (sizes - common)").select("a", "b"), spark)
 
     edges, component = None, None
-    for first in (True, True, False):
+    for first in [*[True] * HUB_ROUNDS, False]:
         now = left.withColumn("component", F.col("id")) if component is None else left.join(component, "id", "left").withColumn("component", F.coalesce("component", "id"))
         if first:
             at = F.xxhash64("id")
@@ -197,12 +207,15 @@ def near_links(signed: DataFrame, text: DataFrame, shingle: int, percent: int) -
             likely = pairs.join(sig("a"), "a").join(sig("b"), "b").where(likely_).select("a", "b")
             left = now.select("bucket", "id", "n").join(chosen.select("bucket", F.col("hub").alias("id")), ["bucket", "id"], "left_anti")
         else:
-            side = lambda k: now.select("bucket", "main", *[F.col(c).alias(f"{c}_{k}") for c in ("id", "component", "n", "low", "place")])
-            outside = side("a").where("component_a <> main").drop("main")
+            side = lambda k: now.select("bucket", "main", "parts", *[F.col(c).alias(f"{c}_{k}") for c in ("id", "component", "n", "low", "place", "begin")])
+            outside = side("a").where("component_a <> main").withColumn("part", F.pmod(F.xxhash64("id_a"), F.col("parts")).cast("int")).drop("main", "parts")
+            others = side("b").withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts")
             once = "component_a <> component_b and (component_b = main or id_a < id_b)"
             # nothing before their first common shingle is common, and at most what is behind it
             bounded = f"{100 + percent} * (1 + least(n_a - place_a, n_b - place_b)) >= {percent} * (n_a + n_b)"
-            likely = outside.join(side("b"), "bucket").where(once).where(fits).where(bounded).where(likely_).select(F.least("id_a", "id_b").alias("a"), F.greatest("id_a", "id_b").alias("b")).distinct()
+            both = F.array_intersect("begin_a", "begin_b")
+            here = (F.size(both) == 0) | (F.get(both, F.lit(0)) == F.col("bucket"))
+            likely = outside.join(others, ["bucket", "part"]).where(once).where(fits).where(bounded).where(likely_).where(here).select(F.least("id_a", "id_b").alias("a"), F.greatest("id_a", "id_b").alias("b")).distinct()
         found = confirmed(likely)
         edges = found if edges is None else edges.unionAll(found)
         if not found.isEmpty():

@@ -85,6 +85,39 @@ def test_near_copies(spark):
     assert sorted(((r["doc_id"], r["component_id"], r["kept"]) for r in nulls), key=str) == [(1, 1, True), (None, None, True)]
 
 
+def test_near_copies_recall(spark):
+    """Pairs just over the threshold are found, and those just under it are not linked."""
+    rng = random.Random(21)
+    rows, want = [], {}
+    for k in range(300):
+        n = rng.randrange(150, 400)
+        a = [f"v{rng.randrange(10**6)}" for _ in range(n)]
+        b, low = a[:], 0.85
+        while True:
+            c = b[:]
+            c[rng.randrange(n)] = f"u{rng.randrange(10**6)}"
+            x, y = ({tuple(t[i : i + 3]) for i in range(n - 2)} for t in (a, c))
+            s = len(x & y) / len(x | y)
+            if s < low:
+                break
+            b = c
+        rows += [(2 * k, " ".join(a), "a"), (2 * k + 1, " ".join(b if k % 3 else c), "a")]
+        want[2 * k + 1] = 2 * k if k % 3 else 2 * k + 1
+    got = {r["doc_id"]: r["component_id"] for r in minhash_dedup.minhash_dedup(docs_of(spark, rows), shingle=3, percent=85).collect()}
+    assert {i: got[i] for i in want} == want
+
+
+def test_near_copies_of_a_large_group(spark, monkeypatch):
+    """A group alike about the threshold, so that hubs leave buckets open and the rarest shingles decide, in several parts."""
+    monkeypatch.setattr(minhash_dedup, "PART", 8)
+    rng = random.Random(5)
+    base = words(rng, 120, 5000)
+    rows = [(k, " ".join(x if rng.random() > 0.03 else f"y{rng.randrange(9)}" for x in base), "a") for k in range(160)]
+    got = minhash_dedup.minhash_dedup(docs_of(spark, rows), shingle=3, percent=85).collect()
+    want = brute_groups(rows, 3, 85)
+    assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in got} == want and len({c for _, c in want.values()}) > 3
+
+
 def test_toxicity(spark):
     rng = random.Random(6)
     plain = [" ".join(words(rng, 60, 300)) for _ in range(160)]
@@ -227,30 +260,80 @@ def test_html(spark):
     assert all(r["n_chars"] == len(r["text"]) for r in got)
     assert html_text.extract_text(spark.createDataFrame([], PAGES)).count() == 0
     plain = page.replace("article", "div")
-    assert html_text.extract(plain, html_text.fit([page])).startswith("A & B\nOne two three\nFour")
+    assert html_text.extract(plain, html_text.fit([page])) == "A & B\nOne two three\nFour"
 
 
-def test_embeddings(spark):
-    rng = np.random.default_rng(9)
-    center = rng.normal(size=(6, 8))
-    rows = [(k, [float(np.float32(x)) for x in center[k % 6] + 0.25 * rng.normal(size=8)], int(k % 2)) for k in range(200)]
-    rows += [(300, rows[0][1], 0), (301, rows[0][1], 1), (302, None, 0), (303, [0.0] * 8, 0), (304, [float("nan")] * 8, 0), (305, rows[0][1], None), (306, [1.0, None] * 4, 0), (307, [], 0), (308, [1.0, 2.0], 0)]
-    df = spark.createDataFrame([(*r, 5) for r in rows], "vec_id long, embedding array<float>, label int, rep int")
-    embedding_dedup.PER_PIVOT, embedding_dedup.BLOCK, kept = 20, 16, (embedding_dedup.PER_PIVOT, embedding_dedup.BLOCK)
-    got = {r["vec_id"]: r for r in embedding_dedup.embedding_dedup(df, 0.93).collect()}
-    embedding_dedup.PER_PIVOT, embedding_dedup.BLOCK = kept
+def html_page(rng, mark, junk):
+    """A page with its text in p and h2, links and loose words around it, and the text that is to come out."""
+    said = [" ".join(words(rng, rng.randrange(8, 40))) for _ in range(rng.randrange(2, 9))]
+    body = "".join(f"<h2>{t}</h2>" if k % 4 == 0 else f"<p class='sharp navy commentary'>{t}</p>" for k, t in enumerate(said))
+    loose = lambda: "".join(f"<span>{' '.join(words(rng, rng.randrange(1, 6)))}</span><br>" for _ in range(junk))
+    return f"<body><nav><a>x y z</a></nav>{loose()}<{mark}>{body}</{mark}>{loose()}<footer>f f</footer></body>", "\n".join(said)
+
+
+def test_html_by_learnt_weights():
+    """Held-out pages, with and without the mark, where what stands beside the content is no known boilerplate."""
+    rng = random.Random(14)
+    weights = html_text.fit([html_page(rng, "article", 4)[0] for _ in range(60)])
+    for mark in ("article", "main", "div", "section"):
+        for _ in range(40):
+            page, said = html_page(rng, mark, 4)
+            assert html_text.extract(page, weights) == said, page
+
+
+def test_html_in_linear_time():
+    import time
+
+    for page in ('<a "' * 60_000, '<b "x>y" ' * 60_000, "<a '>" * 60_001, "<div><p>" * 30_000 + "x", "<!--" * 60_000, "<p>" + "long " * 400_000):
+        began = time.process_time()
+        text = html_text.extract(page, html_text.PLAIN)
+        assert time.process_time() - began < 8, page[:9]
+    assert text == ("long " * 400_000).strip()
+    assert html_text.extract("<p>a</p><p>only < text <b", html_text.PLAIN) == "a\nonly < text <b"
+    assert html_text.extract("<p title='a > b'>x</p><p title=\"it's\">y</p>", html_text.PLAIN) == "x\ny"
+
+
+def brute_links(rows, cosine):
     good = {i: (np.array(v), lab) for i, v, lab in rows if lab is not None and v and all(x is not None and np.isfinite(x) for x in v) and any(v)}
     label, n = {i: i for i, *_ in rows}, dict.fromkeys((i for i, *_ in rows), 0)
     for a, (va, la) in good.items():
         for b, (vb, lb) in good.items():
-            if a < b and la == lb and len(va) == len(vb) and va @ vb / np.linalg.norm(va) / np.linalg.norm(vb) >= 0.93:
+            if a < b and la == lb and len(va) == len(vb) and va @ vb / np.linalg.norm(va) / np.linalg.norm(vb) >= cosine:
                 n[a], n[b] = n[a] + 1, n[b] + 1
                 x, y = sorted((label[a], label[b]))
                 label = {k: x if v == y else v for k, v in label.items()}
-    assert {i: (r["n_links"], r["component_id"], r["kept"]) for i, r in got.items()} == {i: (n[i], label[i], label[i] == i) for i, *_ in rows}
+    return {i: (n[i], label[i], label[i] == i) for i, *_ in rows}
+
+
+@pytest.mark.parametrize(("noise", "block", "cell"), [(0.25, 16, 20), (0.12, 7, 10), (0.05, 4096, 4096), (0.6, 10, 8)])
+def test_embeddings(spark, monkeypatch, noise, block, cell):
+    """Small blocks and cells, so that balls, cores, guests, open cells and several blocks all occur."""
+    rng = np.random.default_rng(9)
+    center = rng.normal(size=(6, 8))
+    rows = [(k, [float(np.float32(x)) for x in center[k % 6] + noise * rng.normal(size=8)], int(k % 2)) for k in range(200)]
+    rows += [(200 + k, [float(np.float32(x)) for x in rng.normal(size=8)], k % 2) for k in range(80)]
+    rows += [(300, rows[0][1], 0), (301, rows[0][1], 1), (302, None, 0), (303, [0.0] * 8, 0), (304, [float("nan")] * 8, 0), (305, rows[0][1], None), (306, [1.0, None] * 4, 0), (307, [], 0), (308, [1.0, 2.0], 0), (309, [float("inf")] * 8, 1)]
+    df = spark.createDataFrame([(*r, 5) for r in rows], "vec_id long, embedding array<float>, label int, rep int")
+    monkeypatch.setattr(embedding_dedup, "BLOCK", block)
+    monkeypatch.setattr(embedding_dedup, "CELL", cell)
+    for pivot_rows in (20_000, 120):
+        got = {r["vec_id"]: r for r in embedding_dedup.embedding_dedup(df, 0.93, pivot_rows=pivot_rows).collect()}
+        assert {i: (r["n_links"], r["component_id"], r["kept"]) for i, r in got.items()} == brute_links(rows, 0.93)
     assert embedding_dedup.embedding_dedup(df.limit(0)).count() == 0
 
 
+def test_embedding_copies(spark):
+    """Balls prune: of groups of copies among many far vectors, a vector costs about one copy, and a hot group is not compared."""
+    rng = np.random.default_rng(3)
+    center = rng.normal(size=(30, 64))
+    near = [center[0 if k % 2 else k % 30] + 0.03 * rng.normal(size=64) for k in range(900)]
+    far = list(rng.normal(size=(900, 64)))
+    classes = spark.createDataFrame([(0, 64, [float(x) for x in v], k * 1_000_003, 1) for k, v in enumerate(near + far)], "label long, size int, v array<double>, rep long, weight long")
+    placed = embedding_dedup.cells(classes, 0.93).cache()
+    assert placed.count() <= 1.1 * 1800 and placed.select("cell").distinct().count() >= 16
+    assert placed.where("core").count() > 0.8 * 900
+
+
 def test_mixing(spark):
     rng = random.Random(10)
     rows = [(k, " ".join(words(rng, rng.randrange(0, 40))), rng.choice(["a", "b", "c", "d", None])) for k in range(300)] + [(400, None, "z"), (401, "", "z")]
