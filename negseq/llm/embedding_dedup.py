@@ -1,20 +1,30 @@
 """Embedding near-duplicates: an exact metric range join around pivots.
 
 Cosine at least c between unit vectors means a chord of at most r = sqrt(2 - 2c).
-Pivots are vectors of the same label; each vector belongs to the cell of its nearest
-pivot. By the triangle inequality a vector x can be within r of a member of the cell
-of pivot p only if d(x, p) <= radius(p) + r, where radius(p) is the cell's largest
-distance, and by the same inequality for half-spaces only if the distance of x to the
-bisector of p and its own pivot is at most r. Such vectors are replicated to the cell,
-and cells join independently.
-
-Equal vectors collapse to one with a weight before the join. A cell joins in blocks: its
-own vectors are dealt to blocks of bounded size and each block meets the cell's vectors in
-a stream, so no task holds a whole hot cell; the sums over blocks give the links.
+Pivots partition the vectors of a label in two tiers. *Balls* lie around pivots in dense
+places: a vector within r of such a pivot belongs to the nearest one. What is in no ball
+belongs to the *open cell* of its nearest spread pivot; there is one open cell for each
+CELL of such vectors.
+
+Cells are in order, balls first, and a pair of two cells meets in the earlier one, where
+the vector of the later one is a guest. By the triangle inequality a vector x can be
+within r of a member of pivot p's cell only if d(x, p) <= radius(p) + r, where radius(p) is
+the largest distance of a member; for two open cells also only if x lies within r of
+the bisector of both pivots. Balls are as narrow as r, so vectors in the open are guests of the few
+balls that they nearly touch, and a vector costs little more than one copy.
+
+By the same inequality the members of a ball within r / 2 of its pivot, its *core*, are
+all linked. They are counted and not compared, so a hot group of copies is linear. What
+is compared in a cell is each member with each vector outside the core, in blocks of
+BLOCK by BLOCK vectors, so a task holds two blocks whatever the size of the cell.
+
+Equal vectors collapse to one with a weight before the join. Of an open cell every pair is
+compared: where vectors are far from all others in many dimensions no pivot can prune,
+and a label with n such vectors ships n * n / BLOCK of them.
 
 Defined results: a vector that is null, empty, zero or holds null or non-finite
 components, and a null label, link with nothing; vectors of different lengths link with nothing;
-rows of one id are one node of the graph but each counts as a vector of its own.
+rows of one id are one node of the graph but each counts as a vector of its own; extra columns are not read.
 """
 
 from __future__ import annotations
@@ -26,70 +36,126 @@ from pyspark.sql import functions as F
 
 from .shared import components, written
 
-#: Vectors of a block, and vectors for which a label gets one pivot more.
-BLOCK, PER_PIVOT = 512, 400
-#: Pivots of a label at most: they are broadcast (64 x 8 bytes x labels x this many).
-PIVOTS = 256
+#: Vectors of a block, and open vectors for which a label gets one open cell more.
+BLOCK, CELL = 4096, 4096
+#: Vectors that pivots are drawn from, and balls and open cells of a label, at most: the pivots that are broadcast are among the drawn.
+PIVOT_ROWS, BALLS, OPEN_CELLS = 20_000, 256, 64
+#: Number of the first open cell; balls have lower numbers.
+OPEN = 1_000_000
+#: Slack for rounding in the bounds of the join; the confirmation has none. Pairs of a core are this much closer than r.
+SLACK, SURE = 1e-9, 1e-6
 NONE = 2**63 - 1
-#: Slack for rounding in the bounds of the join; the confirmation has none.
-SLACK = 1e-9
 
 
 def _unit(x: np.ndarray) -> np.ndarray:
     return x / np.linalg.norm(x, axis=-1, keepdims=True)
 
 
+def _chord(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    return np.sqrt(np.maximum(0, 2 - 2 * x @ y.T))
+
+
+def _balls(x: np.ndarray, radius: float, most: int) -> tuple[np.ndarray, np.ndarray]:
+    """Places of the pivots of dense places in a sample, those with most neighbours first, and which vectors no ball holds. A vector opens a ball if no ball holds it; balls of one vector are none."""
+    chosen, free = [], np.ones(len(x), bool)
+    for at in range(0, len(x), 512):
+        near = _chord(x[at : at + 512], x) <= radius
+        for i in np.flatnonzero(free[at : at + 512]):
+            if not free[at + i]:
+                continue
+            own = near[i] & free
+            if own.sum() > 1:
+                chosen.append((int(own.sum()), at + int(i)))
+                free &= ~own
+    best = np.array([i for _, i in sorted(chosen, key=lambda c: (-c[0], c[1]))[:most]], int)
+    return best, ~(_chord(x, x[best]) <= radius).any(1) if len(best) else np.ones(len(x), bool)
+
+
+def _spread(x: np.ndarray, k: int) -> np.ndarray:
+    """Farthest-first choice of k vectors."""
+    chosen = [0]
+    far = 1 - x @ x[0]
+    while len(chosen) < min(k, len(x)):
+        j = int(far.argmax())
+        if far[j] < 1e-6:
+            break
+        chosen.append(j)
+        far = np.minimum(far, 1 - x @ x[j])
+    return x[chosen]
+
+
+def _pivots(drawn: pd.DataFrame, share: float, radius: float) -> dict:
+    """For each label and length: pivots of the balls, and of the open cells."""
+    out = {}
+    for key, own in drawn.groupby(["label", "size"]):
+        x = _unit(np.stack(own["v"].to_numpy()).astype(np.float64))
+        best, rest = _balls(x, radius, BALLS)
+        cells = min(OPEN_CELLS, int(np.ceil(rest.sum() / share / CELL)))
+        out[key] = (x[best], _spread(x[rest], cells) if cells > 1 else x[:0])
+    return out
+
+
 def _assign(pivots: dict, radius: float):
-    """Own cell and the cells that a vector must be replicated to."""
+    """Own cell of each vector, and the earlier cells of which it may be a guest."""
+    names = ["label", "size", "cell", "far", "home", "rep", "weight", "v"]
 
     def run(parts):
         for pdf in parts:
-            rows = []
+            out = []
             for (label, size), own in pdf.groupby(["label", "size"], sort=False):
-                p = pivots.get((label, size))
                 x = _unit(np.stack(own["v"].to_numpy()).astype(np.float64))
-                if p is None:
-                    home, far, near = np.zeros(len(x), int), np.zeros((len(x), 1)), np.ones((len(x), 1), bool)
-                else:
-                    far = np.sqrt(np.maximum(0, 2 - 2 * x @ p.T))
-                    home = far.argmin(1)
-                    apart = np.sqrt(np.maximum(0, 2 - 2 * p @ p.T))[home]
-                    gap = far**2 - far[np.arange(len(x)), home][:, None] ** 2
-                    near = gap <= 2 * apart * radius + SLACK
-                    near[np.arange(len(x)), home] = True
-                for i, row in enumerate(own.itertuples(index=False)):
-                    rows += [(label, size, int(j), float(far[i, j]), bool(j == home[i]), row.rep, row.weight, row.v) for j in np.flatnonzero(near[i])]
-            yield pd.DataFrame(rows, columns=["label", "size", "cell", "far", "home", "rep", "weight", "v"])
+                balls, spread = pivots.get((label, size), (x[:0], x[:0]))
+                row = np.arange(len(x))
+                near, apart = _chord(x, balls), _chord(x, spread)
+                inside = near.min(1) <= radius if len(balls) else np.zeros(len(x), bool)
+                home = np.where(inside, near.argmin(1) if len(balls) else 0, OPEN + (apart.argmin(1) if len(spread) else 0))
+                far = np.where(inside, near.min(1), apart.min(1) if len(spread) else 0.0) if len(balls) else apart.min(1) if len(spread) else np.zeros(len(x))
+                cells = [(row, home, far, True)]
+                if len(balls):
+                    # a ball's radius is at most r; the join knows it better
+                    i, j = np.nonzero((near <= 2 * radius + SLACK) & (np.arange(len(balls))[None, :] < home[:, None]))
+                    cells.append((i, j, near[i, j], False))
+                if len(spread):
+                    own_cell = np.where(inside, 0, home - OPEN)
+                    between = _chord(spread, spread)[own_cell]
+                    gap = apart**2 - apart[row, own_cell][:, None] ** 2
+                    reach = (gap <= 2 * between * radius + SLACK) & (np.arange(len(spread))[None, :] < own_cell[:, None]) & ~inside[:, None]
+                    i, j = np.nonzero(reach)
+                    cells.append((i, OPEN + j, apart[i, j], False))
+                for i, cell, distance, is_home in cells:
+                    if len(i):
+                        part = own.iloc[i][["rep", "weight", "v"]].reset_index(drop=True)
+                        out.append(part.assign(label=label, size=size, cell=cell.astype(np.int32), far=distance, home=is_home)[names])
+            yield pd.concat(out, ignore_index=True) if out else pd.DataFrame(columns=names)
 
     return run
 
 
-def _block(radius: float, cosine: float):
-    """One block of a cell's own vectors against a chunk of the vectors that reach the cell."""
+def _linked(a: np.ndarray, b: np.ndarray, cosine: float) -> np.ndarray:
+    """Which pairs reach the cosine in double precision; pairs at the very threshold are computed one by one."""
+    na, nb = np.linalg.norm(a, axis=1), np.linalg.norm(b, axis=1)
+    cos = (a @ b.T) / na[:, None] / nb[None, :]
+    link = cos >= cosine
+    for i, j in zip(*np.nonzero(np.abs(cos - cosine) < 1e-12), strict=True):
+        link[i, j] = float(np.dot(a[i], b[j])) / float(na[i] * nb[j]) >= cosine
+    return link
+
+
+def _block(cosine: float):
+    """A block of a cell's members against a block of its vectors outside the core; links count for both sides, those of two members for the member."""
 
     def run(key, left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
-        out = []
-        if len(left) and len(right):
-            a = np.stack(left["v"].to_numpy()).astype(np.float64)
-            ia, na = left["rep"].to_numpy(), np.linalg.norm(a, axis=1)
-            for at in range(0, len(right), BLOCK):
-                part = right.iloc[at : at + BLOCK]
-                b = np.stack(part["_v"].to_numpy()).astype(np.float64)
-                ib, wb, nb = part["_rep"].to_numpy(), part["_weight"].to_numpy(), np.linalg.norm(b, axis=1)
-                cos = (a @ b.T) / na[:, None] / nb[None, :]
-                edge = np.abs(cos - cosine) < 1e-12
-                link = cos >= cosine
-                for i, j in zip(*np.nonzero(edge), strict=True):
-                    link[i, j] = float(np.dot(a[i], b[j])) / float(np.linalg.norm(a[i]) * np.linalg.norm(b[j])) >= cosine
-                link &= ia[:, None] != ib[None, :]
-                out.append(pd.DataFrame({"rep": ia, "links": link @ wb, "low": NONE}))
-                out.append(_forest(link, ia, ib))
-        if not out:
+        if not len(left) or not len(right):
             return pd.DataFrame({"rep": [], "links": [], "low": []}).astype("int64")
-        found = pd.concat(out, ignore_index=True).astype("int64")
-        links = found.groupby("rep", as_index=False)["links"].sum()
-        edges = found[found["low"] != NONE][["rep", "low"]].drop_duplicates().assign(links=0)
-        return pd.concat([links.assign(low=NONE), edges], ignore_index=True)[["rep", "links", "low"]]
+        ia, ib = left["rep"].to_numpy(), right["_rep"].to_numpy()
+        wa, wb = left["weight"].to_numpy(), right["_weight"].to_numpy()
+        link = _linked(np.stack(left["v"].to_numpy()).astype(np.float64), np.stack(right["_v"].to_numpy()).astype(np.float64), cosine)
+        link &= ia[:, None] != ib[None, :]
+        # a member of the right side outside the core is on the left side too, where it counts its links with such members
+        core = left["core"].to_numpy()
+        once = np.where(right["_home"].to_numpy(), (wa * core) @ link, wa @ link)
+        out = pd.DataFrame({"rep": np.r_[ia, ib], "links": np.r_[link @ wb, once], "low": NONE})
+        return pd.concat([out[out["links"] > 0], _forest(link, ia, ib)], ignore_index=True).astype("int64")[["rep", "links", "low"]]
 
     return run
 
@@ -98,9 +164,12 @@ def _forest(link: np.ndarray, ia: np.ndarray, ib: np.ndarray) -> pd.DataFrame:
     """At most one edge for each vertex, which connect what the links connect: labels spread over the links until nothing changes."""
     big = len(ia)
     rows = np.arange(big)
+    at, to = np.nonzero(link)
     while True:
-        cols = np.where(link, rows[:, None], big).min(0)
-        now = np.minimum(rows, np.where(link, cols[None, :], big).min(1))
+        cols = np.full(len(ib), big)
+        np.minimum.at(cols, to, rows[at])
+        now = rows.copy()
+        np.minimum.at(now, at, cols[to])
         if (now == rows).all():
             break
         rows = now
@@ -108,10 +177,26 @@ def _forest(link: np.ndarray, ia: np.ndarray, ib: np.ndarray) -> pd.DataFrame:
     return pd.DataFrame({"rep": np.r_[ib[hit], ia[own]], "links": 0, "low": np.r_[ia[cols[hit]], ia[rows[own]]]})
 
 
-def embedding_dedup(vectors: DataFrame, cosine: float = 0.93, id_col: str = "vec_id", vector_col: str = "embedding", label_col: str = "label", pivot_rows: int = 20_000) -> DataFrame:
+def cells(classes: DataFrame, cosine: float, pivot_rows: int = PIVOT_ROWS) -> DataFrame:
+    """Members and guests of all cells: label, size, cell, far, home, core, rep, weight, v, and of each cell core_lead, core_weight, members, others (vectors outside the core)."""
+    radius = float(np.sqrt(2 - 2 * cosine)) + SLACK
+    total = classes.count()
+    share = min(1.0, pivot_rows / max(total, 1))
+    drawn = classes.where(F.pmod("rep", F.lit(2**30)) < int(share * 2**30)).select("label", "size", "v", "rep").orderBy("rep").limit(pivot_rows)
+    pivots = _pivots(drawn.toPandas(), share, radius)
+    kinds = "label long, size int, cell int, far double, home boolean, rep long, weight long, v array<double>"
+    placed = written(classes.select("label", "size", "rep", "weight", "v").mapInPandas(_assign(pivots, radius), kinds), classes.sparkSession)
+    placed = placed.withColumn("core", F.col("home") & (F.col("cell") < OPEN) & (F.col("far") <= radius / 2 - SURE))
+    key = ["label", "size", "cell"]
+    reach = placed.where("home").groupBy(*key).agg(F.max("far").alias("radius"), F.count("*").alias("members"), F.min(F.when(F.col("core"), F.col("rep"))).alias("core_lead"), F.sum(F.when(F.col("core"), F.col("weight"))).alias("core_weight"))
+    known = placed.join(reach, key).where(f"home or far <= radius + {radius}")
+    others = known.where("not core").groupBy(*key).agg(F.count("*").alias("others"))
+    return known.join(others, key, "left").na.fill(0, ["others"])
+
+
+def embedding_dedup(vectors: DataFrame, cosine: float = 0.93, id_col: str = "vec_id", vector_col: str = "embedding", label_col: str = "label", pivot_rows: int = PIVOT_ROWS) -> DataFrame:
     """One row per row of vectors: vec_id, n_links, component_id, kept. Pivots are drawn from at most pivot_rows vectors."""
     spark = vectors.sparkSession
-    radius = float(np.sqrt(2 - 2 * cosine)) + SLACK
     v = F.transform(F.col(vector_col), lambda x: x.cast("double"))
     sound = F.forall("v", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < F.lit(float("inf")))) & F.exists("v", lambda x: x != 0)
     rows = vectors.select(F.col(id_col).cast("long").alias("id"), v.alias("v"), F.col(label_col).cast("long").alias("label"))
@@ -120,29 +205,19 @@ def embedding_dedup(vectors: DataFrame, cosine: float = 0.93, id_col: str = "vec
     classes = usable.groupBy("label", "v").agg(F.min("id").alias("lead"), F.count("*").alias("weight"))
     # the least id alone does not tell two classes apart when ids repeat
     classes = written(classes.select("label", "v", "lead", "weight", F.size("v").alias("size"), F.xxhash64("label", "v").alias("rep")), spark)
-    counts = {(r["label"], r["size"]): r["count"] for r in classes.groupBy("label", "size").count().where(f"count > {PER_PIVOT}").collect()}
-    # the pivots of each label: farthest-first in a bounded sample
-    total = sum(counts.values())
-    share = min(1.0, pivot_rows / max(total, 1))
-    drawn = classes.where(F.pmod("rep", F.lit(2**30)) < int(share * 2**30)).select("label", "size", "v", "rep").orderBy("rep").limit(pivot_rows).toPandas() if counts else None
-    pivots: dict = {}
-    for key, n in counts.items():
-        own = drawn[(drawn["label"] == key[0]) & (drawn["size"] == key[1])]
-        if len(own):
-            pivots[key] = _spread(_unit(np.stack(own["v"].to_numpy()).astype(np.float64)), min(PIVOTS, 1 + n // PER_PIVOT))
-    kinds = "label long, size int, cell int, far double, home boolean, rep long, weight long, v array<double>"
-    placed = written(classes.select("label", "size", "rep", "weight", "v").mapInPandas(_assign(pivots, radius), kinds), spark)
-    # the cell's radius bounds what else must come
-    reach = placed.where("home").groupBy("label", "size", "cell").agg(F.max("far").alias("radius"), F.count("*").alias("members"))
-    placed = placed.join(reach, ["label", "size", "cell"]).where(f"home or far <= radius + {radius}")
-    blocks = F.greatest(F.lit(1), F.ceil(F.col("members") / BLOCK)).cast("int")
-    block = ["label", "size", "cell", "block"]
-    own = placed.where("home").withColumn("block", F.pmod(F.shiftright("rep", 7), blocks).cast("int")).select(*block, "rep", "weight", "v")
-    met = placed.withColumn("block", F.explode(F.sequence(F.lit(0), blocks - 1))).select(*block, "rep", "weight", "v")
-    met = met.select(*(F.col(c).alias(f"_{c}") for c in block), F.col("rep").alias("_rep"), F.col("weight").alias("_weight"), F.col("v").alias("_v"))
-    found = own.groupBy(*block).cogroup(met.groupBy(*(f"_{c}" for c in block))).applyInPandas(_block(radius, cosine), "rep long, links long, low long")
-    found = written(found, spark)
-    edges = found.where(f"low <> {NONE}").select(F.col("rep").alias("a"), F.col("low").alias("b"))
+    placed = cells(classes, cosine, pivot_rows)
+    blocks = lambda n: F.greatest(F.lit(1), F.ceil(F.col(n) / BLOCK)).cast("int")
+    block = ["label", "size", "cell", "block", "other"]
+    met = placed.where("others > 0")
+    all_of = lambda n: F.explode(F.sequence(F.lit(0), blocks(n) - 1))
+    dealt = lambda n: F.pmod(F.shiftright("rep", 7), blocks(n)).cast("int")
+    left = met.where("home").withColumn("block", dealt("members")).withColumn("other", all_of("others")).select(*block, "rep", "weight", "v", "core")
+    right = met.where("not core").withColumn("other", dealt("others")).withColumn("block", all_of("members"))
+    right = right.select(*(F.col(c).alias(f"_{c}") for c in [*block, "rep", "weight", "v", "home"]))
+    found = left.groupBy(*block).cogroup(right.groupBy(*(f"_{c}" for c in block))).applyInPandas(_block(cosine), "rep long, links long, low long")
+    inner = placed.where("core").select("rep", (F.col("core_weight") - F.col("weight")).alias("links"), F.col("core_lead").alias("low"))
+    found = written(found.unionAll(inner), spark)
+    edges = found.where(f"low <> {NONE} and low <> rep").select(F.col("rep").alias("a"), F.col("low").alias("b"))
     sums = found.groupBy("rep").agg(F.sum("links").alias("links"))
     joined = components(classes.select(F.col("rep").alias("id")), edges)
     named = classes.join(joined, classes["rep"] == joined["id"], "left").drop("id").join(sums, "rep", "left")
@@ -152,15 +227,3 @@ def embedding_dedup(vectors: DataFrame, cosine: float = 0.93, id_col: str = "vec
     usable_row = F.col("least").isNotNull() & F.col("id").isNotNull()
     component = F.when(usable_row, F.col("least")).otherwise(F.col("id"))
     return out.select(F.col("id").alias("vec_id"), F.when(usable_row, F.col("n")).otherwise(F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(component == F.col("id"), F.lit(True)).alias("kept"))
-
-
-def _spread(x: np.ndarray, k: int) -> np.ndarray:
-    chosen = [0]
-    far = 1 - x @ x[0]
-    for _ in range(min(k, len(x)) - 1):
-        j = int(far.argmax())
-        if far[j] < 1e-6:
-            break
-        chosen.append(j)
-        far = np.minimum(far, 1 - x @ x[j])
-    return x[chosen]
