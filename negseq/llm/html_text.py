@@ -1,16 +1,18 @@
 """HTML extraction by the maximum-scoring subsequence of a page's tokens.
 
-A page is a sequence of tags and words. Words score by where they stand (the tags
-around them), tags cost a little, and a linear scan finds the contiguous region of the
-highest total. The weights are log-odds of standing inside the content, learnt from
-labelled pages: those that mark their content by an ``article`` or ``main`` element
-label themselves. The region then grows to whole blocks. Subtrees that are never
-content (menus, forms, scripts, adverts, comments and the like) score as if outside
-and are left out of the region's text.
-
-Defined results: null or empty html, and pages without a region of positive score, give the
+A page is a sequence of tags and words. Words score by where they stand (the tag around
+them, and whether an ``article`` or ``main`` element holds them), tags cost a little, and
+a linear scan finds the contiguous region of the highest total. The weights are log-odds
+of standing inside the content, learnt from labelled pages: those that mark their content
+by an ``article`` or ``main`` element label themselves. The same pages
+are counted without their marks too, so pages that mark nothing have weights of their own.
+The region then grows to whole blocks. Subtrees that are never content (menus, forms,
+scripts, adverts, comments and the like) score nothing and are left out of the text.
+
+Defined results: null and empty html, and pages without a region of positive score, give the
 empty text; malformed nesting is closed as far as the tags allow; repeated rows each
-get their text; a null url stays null. Character references are decoded, runs of white
+get their text; a null url stays null; extra columns are not read; a tag that never ends, and a page of any
+length, are read in linear time. Character references are decoded, runs of white
 space (also no-break spaces) in a block become one space, blocks are joined by a line break.
 """
 
@@ -37,7 +39,9 @@ NEVER = "nav footer aside form button select option dialog menu head label input
 BOILER = "ad ads advert adverts advertisement advertising banner breadcrumb breadcrumbs comment comments complementary contentinfo cookie cookies consent disqus disclaimer footer gdpr menu modal nav navbar navigation newsletter notice notices popup promo promotion promoted related recommended replies reply search share sharing sidebar social sponsor sponsored subscribe subscription toolbar widget widgets".split()
 
 _RAW, _VOID, _BLOCK, _NEVER, _BOILER = map(frozenset, (RAW, VOID, BLOCK, NEVER, BOILER))
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?\]\]>|<[!?][^>]*>|<(/?)([A-Za-z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|([^<]+|<)", re.S)
+_OTHER = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|</[^A-Za-z][^>]*(?:>|\Z)", re.S)
+_NAME = re.compile(r"<(/?)([A-Za-z][^\s/>]*)")
+_STOP = re.compile(r"[>\"']")
 _NAMES = re.compile(r"(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 _HIDDEN = re.compile(r"(?:^|\s)hidden(?=[\s=/]|$)|aria-hidden\s*=\s*[\"']?true|display\s*:\s*none", re.I)
 _SPACE = re.compile(r"\s+")
@@ -57,27 +61,64 @@ def boilerplate(tag: str, attributes: str, inside_content: bool) -> bool:
     return any(w in _BOILER for w in re.split(r"[^a-z]+", named))
 
 
+class Tags:
+    """The parts of a page: (slash, tag, attributes, text) of each tag, or of the text between. What is not a tag is text. Quotes are respected in tags as long as they close."""
+
+    def __init__(self, page: str):
+        self.page, self.last = page, {q: page.rfind(q) for q in "\"'>"}
+        self.quotes = True
+
+    def end(self, at: int) -> int:
+        """Place of the ">" that ends the tag whose name ends here, or -1."""
+        page, begin = self.page, at
+        while self.quotes and (m := _STOP.search(page, at)) is not None:
+            if m.group() == ">":
+                return m.start()
+            if m.start() >= self.last[m.group()]:
+                # it never closes
+                return page.find(">", begin)
+            at = page.index(m.group(), m.end()) + 1
+        if begin <= self.last[">"]:
+            # every later ">" is in quotes: from here on quotes say nothing, so that no tag is searched to the end again
+            self.quotes = False
+            return page.find(">", begin)
+        return -1
+
+    def __iter__(self) -> Iterator[tuple[str | None, str | None, str | None, str | None]]:
+        page, at, n = self.page, 0, len(self.page)
+        while at < n:
+            if page[at] != "<":
+                stop = page.find("<", at)
+                stop = n if stop < 0 else stop
+                yield None, None, None, page[at:stop]
+                at = stop
+                continue
+            if (m := _OTHER.match(page, at)) is not None:
+                at = m.end()
+                continue
+            m = _NAME.match(page, at)
+            stop = self.end(m.end()) if m is not None else -1
+            if stop < 0:
+                # not a tag; a tag that the page's end cuts off leaves no further one
+                rest = n if m is not None else at + 1
+                yield None, None, None, page[at:rest]
+                at = rest
+                continue
+            self.at = stop + 1
+            yield m.group(1), m.group(2), page[m.end() : stop], None
+            at = self.at
+
+
 def parse(page: str) -> list[tuple[str, str, bool, bool]]:
     """Tokens (kind, value, inside an article or main, inside boilerplate). kind: a path of tags for text, or "<" for a tag that begins or ends a block."""
     out: list[tuple[str, str, bool, bool]] = []
     stack: list[tuple[str, bool, bool]] = []
-    at = 0
-    find = _TOKEN.match
-    while at < len(page):
-        m = find(page, at)
-        if m is None:
-            at += 1
-            continue
-        at = m.end()
-        slash, tag, attributes, text = m.groups()
+    tags = Tags(page)
+    for slash, tag, attributes, text in tags:
         inside, boiler = (stack[-1][1], stack[-1][2]) if stack else (False, False)
         if text is not None:
             out.append((stack[-1][0] if stack else "", text, inside, boiler))
             continue
-        if tag is None:
-            if m.group().startswith("<![CDATA["):
-                continue
-            continue
         tag = tag.lower()
         if slash:
             for k in range(len(stack) - 1, -1, -1):
@@ -90,8 +131,8 @@ def parse(page: str) -> list[tuple[str, str, bool, bool]]:
                 out.append(("<", tag, inside, boiler))
             continue
         if tag in _RAW:
-            stop = re.compile(rf"</{re.escape(tag)}\s*>", re.I).search(page, at)
-            at = stop.end() if stop else len(page)
+            stop = re.compile(rf"</{re.escape(tag)}\s*>", re.I).search(page, tags.at)
+            tags.at = stop.end() if stop else len(page)
             out.append(("<", tag, inside, boiler))
             continue
         if tag in _BLOCK:
@@ -113,81 +154,84 @@ def parse(page: str) -> list[tuple[str, str, bool, bool]]:
     return out
 
 
-def feature(path: str, boiler: bool) -> str:
-    return f"{path}|{'out' if boiler else 'in'}"
+def feature(path: str, inside: bool, marked: bool) -> str:
+    """Where a word stands: the tag around it, and on pages that mark their content whether the mark holds it."""
+    return f"{path}|{'in' if inside else 'out'}" if marked else path
 
 
 class Weights:
     def __init__(self, odds: dict[str, float], tag_cost: float = 0.3):
         self.odds, self.tag_cost = odds, tag_cost
 
-    def word(self, path: str, inside: bool, boiler: bool, labelled: bool) -> float:
-        if boiler:
-            return -2.0
-        if labelled:
-            return self.odds["inside"] if inside else -self.odds["inside"]
-        return self.odds.get(feature(path, boiler), self.odds.get("other", 0.2))
+    def word(self, path: str, inside: bool, marked: bool) -> float:
+        odds = self.odds
+        found = odds.get(feature(path, inside, marked))
+        if found is None and marked:
+            # a tag that no page had there
+            found = odds.get(feature("", inside, True))
+        return odds.get("other", 0.2) if found is None else found
 
 
 #: Weights where no labelled page is at hand.
-PLAIN = Weights({"inside": 3.0, "p|in": 2.0, "a|in": -1.0, "li|in": 0.3, "other": 0.4})
+PLAIN = Weights({"p": 2.0, "a": -1.0, "li": 0.3, "other": 0.4})
+
+
+def marks(tokens: list[tuple[str, str, bool, bool]]) -> bool:
+    return any(inside and not boiler and path != "<" and text.strip() for path, text, inside, boiler in tokens)
 
 
 def fit(pages: list[str]) -> Weights:
-    """Log-odds of a word's surroundings inside and outside the content of pages that mark it, with add-one smoothing."""
+    """Log-odds that a word in such surroundings is content, with add-one smoothing, from pages that mark their content: with the mark as part of the surroundings, over all tags, and without it."""
     counts: dict[str, list[int]] = {}
     for page in pages:
         tokens = parse(page or "")
-        if any(inside for _, _, inside, _ in tokens):
+        if marks(tokens):
             for path, text, inside, boiler in tokens:
-                if path != "<" and (n := len(text.split())):
-                    counts.setdefault(feature(path, boiler), [0, 0])[inside and not boiler] += n
+                if path != "<" and not boiler and (n := len(text.split())):
+                    for name in {feature(path, inside, True), feature("", inside, True), path}:
+                        counts.setdefault(name, [0, 0])[inside] += n
     if not counts:
         return PLAIN
-    total = [sum(c[k] for c in counts.values()) + len(counts) for k in (0, 1)]
-    odds = {f: max(-3.0, min(3.0, math.log((c[1] + 1) / total[1]) - math.log((c[0] + 1) / total[0]))) for f, c in counts.items()}
-    return Weights({**PLAIN.odds, **odds, "inside": 3.0})
+    odds = {f: max(-3.0, min(3.0, math.log((c[1] + 1) / (c[0] + 1)))) for f, c in counts.items()}
+    return Weights({**PLAIN.odds, "|in": 3.0, "|out": -3.0, **odds})
 
 
-def extract(page: str | None, weights: Weights) -> str:
-    tokens = parse(page or "")
-    labelled = any(inside and not boiler and path != "<" and text.strip() for path, text, inside, boiler in tokens)
-    best, total, start, region = 0.0, 0.0, 0, (0, 0)
+def region(tokens: list[tuple[str, str, bool, bool]], weights: Weights) -> tuple[int, int]:
+    """First and last token (exclusive) of the best contiguous region, grown to whole blocks; (0, 0) if none scores."""
+    marked = marks(tokens)
+    best, total, start, found = 0.0, 0.0, 0, (0, 0)
     for i, (path, text, inside, boiler) in enumerate(tokens):
+        if boiler:
+            # left out of the text, so it neither joins nor parts
+            continue
         if path == "<":
             score = -weights.tag_cost
         elif n := len(text.split()):
-            score = n * weights.word(path, inside, boiler, labelled)
+            score = n * weights.word(path, inside, marked)
         else:
             continue
-        if boiler and path == "<":
-            # the walls of boilerplate inside the content cost no more than other tags
-            score = -weights.tag_cost
         if total <= 0:
             total, start = 0.0, i
         total += score
         if total > best:
-            best, region = total, (start, i + 1)
-    if best <= 0:
-        return ""
-    first, last = region
-    if labelled:
-        # the region grows over what the same element still holds
-        while first > 0 and tokens[first - 1][2]:
-            first -= 1
-        while last < len(tokens) and tokens[last][2]:
-            last += 1
-    else:
-        while first > 0 and tokens[first - 1][0] != "<":
-            first -= 1
-        while last < len(tokens) and tokens[last][0] != "<":
-            last += 1
+            best, found = total, (start, i + 1)
+    first, last = found
+    while 0 < first and tokens[first - 1][0] != "<":
+        first -= 1
+    while 0 < last < len(tokens) and tokens[last][0] != "<":
+        last += 1
+    return first, last
+
+
+def extract(page: str | None, weights: Weights) -> str:
+    tokens = parse(page or "")
+    first, last = region(tokens, weights)
     blocks, now = [], []
-    for path, text, inside, boiler in tokens[first:last]:
+    for path, text, _, boiler in tokens[first:last]:
         if path == "<":
             blocks.append("".join(now))
             now = []
-        elif not boiler and (inside or not labelled):
+        elif not boiler:
             now.append(text)
     blocks.append("".join(now))
     clean = (_SPACE.sub(" ", html.unescape(b)).strip() for b in blocks if b)
