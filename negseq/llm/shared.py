@@ -14,16 +14,17 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir of the session; where that is unset (a local test) a temporary folder is made and set."""
+    """The checkpoint folder of the session. Only a local master may do without one: its driver and tasks share a temporary folder."""
     where = spark.conf.get("spark.checkpoint.dir", None)
-    if not where:
+    if where:
+        return where.rstrip("/")
+    found = spark.sparkContext._jsc.sc().getCheckpointDir()
+    if not found.isDefined():
+        if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+        spark.sparkContext.setCheckpointDir(f"file://{tempfile.mkdtemp(prefix='negseq-')}")
         found = spark.sparkContext._jsc.sc().getCheckpointDir()
-        if found.isDefined():
-            return found.get()
-        where = f"file://{tempfile.mkdtemp(prefix='negseq-')}"
-        spark.sparkContext.setCheckpointDir(where)
-        return spark.sparkContext._jsc.sc().getCheckpointDir().get()
-    return where.rstrip("/")
+    return found.get()
 
 
 def written(df: DataFrame, spark: SparkSession | None = None) -> DataFrame:

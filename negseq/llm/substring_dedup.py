@@ -201,7 +201,8 @@ def substring_dedup(docs: DataFrame, width: int = 20, gram: int = 8, id_col: str
     """doc_id, n_words, n_removed, kept_sha256, and with_text: kept_text (the text itself where nothing goes, else the kept words joined by one space), removed (first and last word of each maximal interval), then the carried columns."""
     text: Column = F.col(text_col)
     order = null_last(F.col(id_col).cast("long"))
-    th = F.hash(text).cast("long")
+    # tells apart rows of one id, and all rows without one
+    th = F.when(F.col(id_col).isNull(), F.xxhash64(text)).otherwise(F.hash(text).cast("long"))
     base = docs.select(order.alias("ord"), th.alias("th"), text.alias("text"))
     runs = base.mapInArrow(find_runs(width, gram), "key long, ord long, th long, run long, times long")
     total = F.expr("sum(times) over (partition by key)")

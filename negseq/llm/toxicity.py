@@ -13,7 +13,7 @@ add up to the document's evidence, which a logistic curve maps to 0..1.
 Training uses at most ``train_rows`` labelled rows (least hash of the id), so the model
 is small at any size of the corpus; every document is scored, over its whole text.
 
-Defined results: null, empty or blank text holds no segment and gets the score of no
+Defined results: an id with both labels counts as toxic; null, empty or blank text holds no segment and gets the score of no
 evidence (below 0.5); repeated rows each get the same score; without both classes to
 learn from, every word scores 0 and every document 0 to within 1e-13.
 """
@@ -203,7 +203,7 @@ def count_scores(model: Model):
 
 def fit(docs: DataFrame, labels: DataFrame, usable: Column, label_col: str = "toxic", id_col: str = "doc_id", text_col: str = "text", train_rows: int = TRAIN_ROWS) -> Model:
     """usable: the rows of labels that may be learnt from."""
-    known = labels.where(usable & F.col(label_col).isin(0, 1) & F.col(id_col).isNotNull()).select(F.col(id_col).alias("_id"), F.col(label_col).cast("int").alias("_toxic")).dropDuplicates(["_id"])
+    known = labels.where(usable & F.col(label_col).isin(0, 1) & F.col(id_col).isNotNull()).select(F.col(id_col).alias("_id"), F.col(label_col).cast("int").alias("_toxic")).groupBy("_id").agg(F.max("_toxic").alias("_toxic"))
     known = known.orderBy(F.xxhash64("_id"), "_id").limit(train_rows)
     rows = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text")).join(F.broadcast(known), "_id").select("_text", "_toxic")
     rows = written(rows, docs.sparkSession)

@@ -93,8 +93,8 @@ def record_id(record: dict, key: str) -> str:
     return f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, '|'.join((record['url'], record['date'], key)))}>"
 
 
-def warc_record(record: dict, key: str, refers_to: str | None = None) -> bytes:
-    """An ARC record as a WARC one. refers_to: key of the record with the same payload; the body then stays out."""
+def warc_record(record: dict, key: str, refers_to: tuple[str, str] | None = None) -> bytes:
+    """An ARC record as a WARC one. refers_to: key and URL of the record with the same payload; the body then stays out."""
     body = record["body"]
     digest = base32_sha1(body)
     head = [
@@ -108,7 +108,8 @@ def warc_record(record: dict, key: str, refers_to: str | None = None) -> bytes:
         ("X-Source-Key", key),
     ]
     if refers_to is not None:
-        head += [("WARC-Profile", "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"), ("X-Refers-To-Key", refers_to)]
+        to, url = refers_to
+        head += [("WARC-Profile", "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"), ("WARC-Refers-To", record_id({"url": url, "date": record["date"]}, to)), ("WARC-Refers-To-Target-URI", url), ("WARC-Refers-To-Date", timestamp(record["date"])), ("X-Refers-To-Key", to)]
     block = b"" if refers_to is not None else body
     head += [("WARC-Block-Digest", f"sha1:{base32_sha1(block)}"), ("Content-Type", record["type"]), ("Content-Length", str(len(block)))]
     return b"WARC/1.1\r\n" + "".join(f"{k}: {v}\r\n" for k, v in head).encode() + b"\r\n" + block + b"\r\n\r\n"
@@ -127,7 +128,7 @@ def parse_warc(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
         at = stop + 4 + size + 4
 
 
-def convert(arc: bytes, refers_to: list[str | None], keys: list[str]) -> list[bytes]:
+def convert(arc: bytes, refers_to: list[tuple[str, str] | None], keys: list[str]) -> list[bytes]:
     """The WARC records of an ARC file; keys and referred keys in the order of its records."""
     return [warc_record(r, k, to) for r, k, to in zip(parse_arc(arc), keys, refers_to, strict=True)]
 
@@ -137,23 +138,28 @@ def _url(url: str | None) -> str:
 
 
 def pack(archive_bytes: int):
-    """Pages to archives: each slice becomes an ARC file, in the old and the new version in turn, and is converted."""
+    """Pages to archives: the pages of each slice become one ARC file, in the old and the new version in turn, which is converted."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, size, version = [], 0, 1
+        arc, keys, refers, size, version = [], [], [], 0, 1
+
+        def archive() -> pa.RecordBatch:
+            records = convert(arc_header(version, "pages.arc") + b"".join(arc), refers, keys)
+            # the writer ends each line, so the last line break stays out
+            return pa.RecordBatch.from_arrays([pa.array([b"".join(records)[:-1].decode()], pa.string())], ["value"])
+
         for batch in batches:
-            for key, url, html, to in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                version = 3 - version
-                arc = arc_header(version, "pages.arc") + arc_record(version, _url(url), (html or "").encode())
-                record = convert(arc, [None if to is None else str(to)], [str(key)])[0]
-                held.append(record)
-                size += len(record)
+            for row in zip(*batch.columns, strict=True):
+                key, url, html, to, to_url = (x.as_py() for x in row)
+                arc.append(arc_record(version, _url(url), (html or "").encode()))
+                keys.append(str(key))
+                refers.append(None if to is None else (str(to), _url(to_url)))
+                size += len(arc[-1])
                 if size >= archive_bytes:
-                    # the writer ends each line, so the last line break stays out
-                    yield pa.RecordBatch.from_arrays([pa.array([b"".join(held)[:-1].decode()], pa.string())], ["value"])
-                    held, size = [], 0
-        if held:
-            yield pa.RecordBatch.from_arrays([pa.array([b"".join(held)[:-1].decode()], pa.string())], ["value"])
+                    yield archive()
+                    arc, keys, refers, size, version = [], [], [], 0, 3 - version
+        if arc:
+            yield archive()
 
     return run
 
@@ -178,15 +184,15 @@ def unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def with_first(pages: DataFrame, id_col: str, url_col: str, html_col: str, least_bytes: int = 0) -> DataFrame:
-    """id, url, html and refers_to: the least id of an equal payload, null for that id itself."""
+    """id, url, html, refers_to and refers_url: the least id of an equal payload and its URL, null for that id itself."""
     body = F.coalesce(F.col(html_col), F.lit(""))
     rows = pages.select(F.coalesce(F.col(id_col).cast("long"), F.lit(-1)).alias("id"), F.col(url_col).alias("url"), F.col(html_col).alias("html"))
-    digests = pages.select(F.coalesce(F.col(id_col).cast("long"), F.lit(-1)).alias("id"), F.sha2(body, 256).alias("digest"), F.octet_length(body).alias("bytes"))
-    digests = digests.where(F.col("bytes") >= least_bytes).select("id", "digest")
-    first = digests.groupBy("digest").agg(F.min("id").alias("first"), F.count("*").alias("n")).where("n > 1").select("digest", "first")
+    digests = pages.select(F.coalesce(F.col(id_col).cast("long"), F.lit(-1)).alias("id"), F.col(url_col).alias("url"), F.sha2(body, 256).alias("digest"), F.octet_length(body).alias("bytes"))
+    digests = digests.where(F.col("bytes") >= least_bytes).select("id", "url", "digest")
+    first = digests.groupBy("digest").agg(F.min(F.struct("id", "url")).alias("least"), F.count("*").alias("n")).where("n > 1").select("digest", F.col("least.id").alias("first"), F.col("least.url").alias("first_url"))
     # with repeated ids the payload of the row decides, so the join also holds the digest
-    to = digests.distinct().join(first, "digest").where("id <> first").select(F.col("id").alias("_id"), F.col("digest").alias("_digest"), F.col("first").alias("refers_to"))
-    return rows.withColumn("digest", F.sha2(F.coalesce("html", F.lit("")), 256)).join(to, (F.col("id") == F.col("_id")) & (F.col("digest") == F.col("_digest")), "left").select("id", "url", "html", "refers_to")
+    to = digests.select("id", "digest").distinct().join(first, "digest").where("id <> first").select(F.col("id").alias("_id"), F.col("digest").alias("_digest"), F.col("first").alias("refers_to"), F.col("first_url").alias("refers_url"))
+    return rows.withColumn("digest", F.sha2(F.coalesce("html", F.lit("")), 256)).join(to, (F.col("id") == F.col("_id")) & (F.col("digest") == F.col("_digest")), "left").select("id", "url", "html", "refers_to", "refers_url")
 
 
 def write_archives(pages: DataFrame, path: str, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", archive_bytes: int = ARCHIVE_BYTES, least_bytes: int = 0) -> str:
