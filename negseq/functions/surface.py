@@ -3,9 +3,10 @@
 from __future__ import annotations
 
 import pandas as pd
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..operators.sequences import nested
 from .pattern import parse
 from .semantics import GROWTH, Constraints, embeddings, first_violation, occurs
 
@@ -17,12 +18,15 @@ def occurs_pattern(itemsets: pd.Series, pattern: pd.Series) -> pd.Series:
 
 
 def first_embedding(itemsets: pd.Series, pattern: pd.Series) -> pd.Series:
-    """Positions of the first embedding that satisfies the absences, else null."""
-    out = []
+    """Positions of the first embedding that satisfies the absences, else null. Null in, null out."""
+    known, out = {t: parse(t) for t in pattern.dropna().unique()}, []
     for s, t in zip(itemsets, pattern, strict=True):
-        p = parse(t)
-        out.append(next((list(e) for e in embeddings(s, p) if first_violation(s, p, e, GROWTH) is None), None))
-    return pd.Series(out)
+        if s is None or t is None:
+            out.append(None)
+            continue
+        sets = [[] if x is None else x for x in s]
+        out.append(next((list(e) for e in embeddings(sets, known[t]) if first_violation(sets, known[t], e, GROWTH) is None), None))
+    return pd.Series(out, dtype="object")
 
 
 class SequenceEmbeddings:
@@ -38,3 +42,11 @@ def register(spark: SparkSession) -> None:
     spark.udf.register("occurs_pattern", F.pandas_udf(occurs_pattern, "boolean"))
     spark.udf.register("first_embedding", F.pandas_udf(first_embedding, "array<int>"))
     spark.udtf.register("sequence_embeddings", F.udtf(SequenceEmbeddings, returnType="positions: string, ok: boolean"))
+
+
+def views(items: DataFrame, patterns: DataFrame | None = None) -> None:
+    """Temporary views for SQL: seq_items (sid, pos, item), sequences (sid, len, itemsets) and, if given, patterns."""
+    items.createOrReplaceTempView("seq_items")
+    nested(items).createOrReplaceTempView("sequences")
+    if patterns is not None:
+        patterns.createOrReplaceTempView("patterns")

@@ -15,9 +15,9 @@ from pyspark.sql import functions as F
 
 from ..functions.pattern import TOKENS, Element, Pattern, parse, positive_part, stats, text_of
 from ..functions.semantics import FREE, GROWTH, Constraints, Semantics, occurs
-from ..plans.planner import BROADCAST_ROWS
+from ..plans.planner import BROADCAST_ROWS, LOCAL_ROWS, small
 from ..plans.stage import written as cached
-from .growth import Options, described, mine, n_sequences, threshold, with_sids
+from .growth import Options, described, frequent_items, mine, n_sequences, size_of, threshold, with_sids
 
 
 def mine_positive(items: DataFrame, sigma, options: Options | None = None) -> DataFrame:
@@ -71,14 +71,18 @@ def partner_candidates(positives: DataFrame, max_neg_size: int | None = 1, unit:
     return rows.select("tokens", text_of("tokens").alias("pattern"), text_of(positive_part("tokens")).alias("positive"), present(unit).alias("partners")).dropDuplicates(["pattern"])
 
 
-def mine_partner(items: DataFrame, sigma, partner_ratio: float = 0.7, max_items: int = 3, max_neg_size: int | None = 1, unit: str = "itemset", maxgap: int | None = None, maxspan: int | None = None, boundary: bool = False) -> DataFrame:
-    """pattern, support, n_items, n_pos, n_neg, tokens. Strict occurrence; a pattern is found only if its positive partner is frequent at partner_ratio times the threshold. boundary: also patterns of a lone item and its absence (`!x`), with the sequences that lack it."""
+def mine_partner(items: DataFrame, sigma, partner_ratio: float = 0.7, max_items: int = 3, max_neg_size: int | None = 1, unit: str = "itemset", maxgap: int | None = None, maxspan: int | None = None, boundary: bool = False, engine: str = "auto") -> DataFrame:
+    """pattern, support, n_items, n_pos, n_neg, tokens. Strict occurrence; a pattern is found only if its positive partner is frequent at partner_ratio times the threshold. boundary: also patterns of a lone item and its absence (`!x`), with the sequences that lack it. engine: 'frontier', or 'auto', which mines a database of at most LOCAL_ROWS events root by root in tasks that share it."""
     if maxgap is not None or maxspan is not None:
         raise ValueError("set algebra on sequence ids cannot express maxgap or maxspan")
-    n = n_sequences(items)
+    n, rows = size_of(items)
     minsup = max(1, threshold(n, sigma))
     # exact ceiling of the scaled threshold
     low = max(1, -((-minsup * round(partner_ratio * 1000)) // 1000))
+    if engine == "auto" and rows <= LOCAL_ROWS and not boundary:
+        from .local_engine import mine_partner_small
+
+        return described(mine_partner_small(items, minsup, low, max_items, max_neg_size, unit))
     lists = cached(with_sids(items, min(low, minsup), Options(max_items=max_items, negatives=False)))
     counted = lists.groupBy("pattern").agg(F.count("*").alias("support"), F.first("tokens").alias("tokens"))
     found = described(counted.where(F.col("support") >= minsup))
@@ -96,46 +100,103 @@ def mine_partner(items: DataFrame, sigma, partner_ratio: float = 0.7, max_items:
     return out
 
 
+def _places(items: DataFrame, able: DataFrame) -> DataFrame:
+    """pattern, npos, k, sid, pos: where the k-th positive itemset of each pattern stands."""
+    each = able.select("pattern", F.size("tokens").alias("npos"), F.posexplode("tokens").alias("k", "t")).select("pattern", "npos", "k", F.size("t.items").alias("size"), F.explode("t.items").alias("item"))
+    return items.join(each, "item").groupBy("pattern", "npos", "k", "sid", "pos").agg(F.count("*").alias("n"), F.first("size").alias("size")).where("n = size").drop("n", "size")
+
+
+def _windows(places: DataFrame, top: int, maxgap: int | None) -> DataFrame:
+    """pattern, sid, gap, a, b: the windows of each gap in any embedding that keeps maxgap. A place is live from the left if the pattern up to it ends there, from the right if the rest begins there; a window joins two live places. Without maxgap, only the widest window of each gap."""
+    key = ["pattern", "sid"]
+    step = lambda k: places.where(F.col("k") == k)
+
+    def live(order: range, back: bool) -> list[DataFrame]:
+        out = []
+        for k in order:
+            now = step(k) if not back else step(k).where("npos > k")
+            first = F.col("k") == (0 if not back else F.col("npos") - 1)
+            rows = now.where(first).select(*key, "npos", "pos")
+            if out:
+                far = F.col("_p") - F.col("pos") if back else F.col("pos") - F.col("_p")
+                near = (far > 0) if maxgap is None else (far > 0) & (far <= maxgap)
+                rows = rows.unionAll(now.where(~first).join(out[-1].select(*key, F.col("pos").alias("_p")), key).where(near).select(*key, "npos", "pos").distinct())
+            if maxgap is None:
+                # the least beginning, or the greatest end, lets the most follow
+                rows = rows.groupBy(*key, "npos").agg((F.max if back else F.min)("pos").alias("pos"))
+            out.append(cached(rows))
+        return out
+
+    left, right = live(range(top - 1), False), live(range(top - 1, 0, -1), True)[::-1]
+    out = None
+    for k in range(top - 1):
+        far = F.col("b") - F.col("a")
+        one = left[k].where(F.col("npos") > k + 1).select(*key, F.lit(k).alias("gap"), F.col("pos").alias("a")).join(right[k].select(*key, F.col("pos").alias("b")), key).where((far > 1) if maxgap is None else (far > 1) & (far <= maxgap))
+        out = one if out is None else out.unionAll(one)
+    return out
+
+
+def _windows_by_embedding(places: DataFrame, top: int, o: Options) -> DataFrame:
+    """The same with maxspan, which ties the first place to the last: every embedding is enumerated."""
+    rows, done = places.where("k = 0").select("pattern", "npos", "sid", F.array("pos").alias("e")), None
+    for k in range(1, top):
+        ok = (F.col("pos") > F.element_at("e", -1)) & (F.lit(True) if o.maxgap is None else F.col("pos") - F.element_at("e", -1) <= o.maxgap) & (F.col("pos") - F.element_at("e", 1) <= o.maxspan)
+        rows = rows.where(F.col("npos") > k).join(places.where(F.col("k") == k).select("pattern", "sid", "pos"), ["pattern", "sid"]).where(ok).select("pattern", "npos", "sid", F.concat("e", F.array("pos")).alias("e"))
+        full = rows.where(F.col("npos") == k + 1)
+        done = full if done is None else done.unionAll(full)
+    pairs = F.transform(F.sequence(F.lit(1), F.size("e") - 1), lambda i: F.struct(F.get("e", i - 1).alias("a"), F.get("e", i).alias("b")))
+    return done.select("pattern", "sid", F.posexplode(pairs).alias("gap", "w")).select("pattern", "sid", "gap", "w.a", "w.b").distinct()
+
+
 def mine_strict(items: DataFrame, sigma, options: Options | None = None) -> DataFrame:
-    """Strict occurrence with gap constraints: every constrained embedding of the positive part must lack the absence.
+    """Strict occurrence with gap constraints: every constrained embedding of the positive part must lack the absences.
 
-    For each frequent positive pattern all embeddings are enumerated (no pruning of ends is allowed here); a sequence
-    violates (gap, item) if any of its embeddings has the item in that gap. Patterns have one negated item in one gap;
-    options that allow more are refused.
+    A sequence violates (gap, item) if any embedding of a positive pattern has the item in that gap. A pattern with several
+    absences is held by the holders of its positive part less the violators of any of them, so absences of one
+    positive pattern grow by unions of violators, from those that are frequent alone.
     """
     from dataclasses import replace
 
     o = options or Options()
-    sets, sizes = o.max_items is None or o.max_items >= 5, o.max_items is None or o.max_items >= 4
-    if o.negatives and ((sets and (o.max_itemsets is None or o.max_itemsets > 2)) or (sizes and (o.max_neg_size is None or o.max_neg_size > 1))):
-        raise ValueError("strict occurrence is mined with one negated item in one gap: max_items < 5 or max_itemsets <= 2, and max_neg_size = 1 from four items on")
     n = n_sequences(items)
     minsup = max(1, threshold(n, sigma))
     positive = mine(items, minsup, replace(o, negatives=False), sequences=n)
-    able = cached(positive.where("n_pos >= 2"))
-    if able.isEmpty():
-        return positive
+    most = o.max_items if o.max_items is not None else 10**6
+    able = cached(positive.where("n_pos >= 2").where(F.col("n_items") < most))
     top = able.agg(F.max("n_pos")).first()[0]
-    each = able.select("pattern", "tokens", "support", F.posexplode("tokens").alias("k", "t")).select("pattern", "support", "k", F.size("tokens").alias("npos"), F.size("t.items").alias("size"), F.explode("t.items").alias("item"))
-    at = items.join(each.where("k = 0").select("pattern", "npos", "size", "item"), "item").groupBy("pattern", "npos", "sid", "pos").agg(F.count("*").alias("n"), F.first("size").alias("size")).where("n = size")
-    rows = at.select("pattern", "npos", "sid", F.array("pos").alias("e"))
-    done = None
-    for k in range(1, top):
-        step = items.join(each.where(F.col("k") == k).select("pattern", "size", "item"), "item").groupBy("pattern", "sid", "pos").agg(F.count("*").alias("n"), F.first("size").alias("size")).where("n = size")
-        ok = (F.col("pos") > F.element_at("e", -1)) & (F.lit(True) if o.maxgap is None else F.col("pos") - F.element_at("e", -1) <= o.maxgap) & (F.lit(True) if o.maxspan is None else F.col("pos") - F.element_at("e", 1) <= o.maxspan)
-        rows = rows.where(F.col("npos") > k).join(step.select("pattern", "sid", "pos"), ["pattern", "sid"]).where(ok).select("pattern", "npos", "sid", F.concat("e", F.array("pos")).alias("e"))
-        full = rows.where(F.col("npos") == k + 1)
-        done = full if done is None else done.unionAll(full)
-    gaps = done.select("pattern", "sid", F.posexplode(F.transform(F.sequence(F.lit(1), F.size("e") - 1), lambda i: F.struct(F.get("e", i - 1).alias("a"), F.get("e", i).alias("b")))).alias("gap", "w")).select("pattern", "sid", "gap", "w.a", "w.b").distinct()
-    bad = gaps.join(items.select("sid", "pos", F.col("item").alias("q")), "sid").where("pos > a and pos < b").select("pattern", "sid", "gap", "q").distinct()
-    lost = cached(bad.groupBy("pattern", "gap", "q").agg(F.count("*").alias("lost")))
-    words = items.select(F.col("item").alias("q")).distinct()
-    frequent = mine(items, minsup, replace(o, negatives=False, max_items=1), sequences=n).select(F.element_at(F.element_at("tokens", 1)["items"], 1).alias("q"))
-    room = able.where("n_items < " + str(o.max_items if o.max_items is not None else 10**6))
-    one = room.select("pattern", "tokens", "support", "n_pos", F.explode(F.sequence(F.lit(0), F.col("n_pos") - 2)).alias("gap")).crossJoin(frequent.join(words, "q", "left_semi"))
-    one = one.join(lost, ["pattern", "gap", "q"], "left").withColumn("support", F.col("support") - F.coalesce("lost", F.lit(0))).where(F.col("support") >= minsup)
-    tokens = F.concat(F.slice("tokens", F.lit(1), F.col("gap") + 1), F.array(F.struct(F.lit(True).alias("neg"), F.array("q").alias("items"))), F.slice("tokens", F.col("gap") + 2, F.size("tokens")))
-    return positive.unionByName(described(one.select(tokens.cast(TOKENS).alias("tokens"), "support")))
+    if not o.negatives or top is None:
+        return positive
+    places = cached(_places(items, able))
+    windows = _windows(places, top, o.maxgap) if o.maxspan is None else _windows_by_embedding(places, top, o)
+    words = cached(frequent_items(items, minsup).select(F.col("item").alias("q")))
+    inside = items.select("sid", "pos", F.col("item").alias("q")).join(small(words, n_words := words.count()), "q", "left_semi")
+    bad = cached(windows.join(inside, "sid").where("pos > a and pos < b").select("pattern", "sid", "gap", "q").distinct())
+    gone = bad.groupBy("pattern", "gap", "q").agg(F.count("*").alias("lost"))
+    each = able.select("pattern", "tokens", "support", "n_items", F.explode(F.sequence(F.lit(0), F.col("n_pos") - 2)).alias("gap")).crossJoin(small(words, n_words))
+    one = each.join(gone, ["pattern", "gap", "q"], "left").withColumn("support", F.col("support") - F.coalesce("lost", F.lit(0))).where(F.col("support") >= minsup)
+    single = cached(one.select("pattern", "tokens", "n_items", "gap", "q", "support", F.xxhash64("pattern", "gap", "q").alias("id"), F.array(F.struct("gap", "q")).alias("absent")))
+    lost = cached(single.select("id", "pattern", "gap", "q").join(bad, ["pattern", "gap", "q"]).select("id", "sid"))
+    levels = [single]
+    while not levels[-1].isEmpty():
+        size = len(levels) + 1
+        last = F.element_at("absent", -1)
+        held = F.size(F.filter("absent", lambda x: x["gap"] == F.col("_gap")))
+        room = F.lit(True) if o.max_neg_size is None else held < o.max_neg_size
+        with_ = single.select(F.col("pattern").alias("_pattern"), F.col("gap").alias("_gap"), F.col("q").alias("_q"))
+        pairs = levels[-1].where(F.col("n_items") + size <= most).join(with_, (F.col("pattern") == F.col("_pattern")) & (F.struct("_gap", "_q") > last)).where(room)
+        child = pairs.select("pattern", "tokens", "n_items", F.col("_gap").alias("gap"), F.col("_q").alias("q"), "support", F.xxhash64("id", "_gap", "_q").alias("id"), F.concat("absent", F.array(F.struct(F.col("_gap").alias("gap"), F.col("_q").alias("q")))).alias("absent"), F.col("id").alias("parent"))
+        more = cached(child.select("id", "parent", "pattern", "gap", "q").join(bad, ["pattern", "gap", "q"]).join(lost.withColumnRenamed("id", "parent"), ["parent", "sid"], "left_anti").select("id", "sid"))
+        child = child.join(more.groupBy("id").agg(F.count("*").alias("lost")), "id", "left").withColumn("support", F.col("support") - F.coalesce("lost", F.lit(0))).where(F.col("support") >= minsup)
+        child = cached(child.select(*single.columns, "parent"))
+        lost = cached(more.join(child, "id", "left_semi").unionAll(child.select("id", "parent").join(lost.withColumnRenamed("id", "parent"), "parent").select("id", "sid")))
+        levels.append(child)
+    out = levels[0].select("tokens", "absent", "support")
+    for x in levels[1:-1]:
+        out = out.unionAll(x.select("tokens", "absent", "support"))
+    of_gap = lambda i: F.transform(F.filter("absent", lambda x: x["gap"] == i - 1), lambda x: x["q"])
+    token = lambda neg, x: F.struct(F.lit(neg).alias("neg"), x.alias("items"))
+    whole = F.flatten(F.transform("tokens", lambda t, i: F.when(F.size(of_gap(i)) > 0, F.array(token(True, of_gap(i)), token(False, t["items"]))).otherwise(F.array(token(False, t["items"])))))
+    return positive.unionByName(described(out.select(whole.cast(TOKENS).alias("tokens"), "support")))
 
 
 def mine_levelwise(sequences: DataFrame, sigma, sem: Semantics = GROWTH, max_items: int = 3, max_neg_size: int | None = 1, c: Constraints = FREE) -> DataFrame:

@@ -1,13 +1,14 @@
 """Random sequences with planted absence patterns.
 
 Lengths are Poisson around the mean but long enough for a pattern, items are uniform, and everything
-comes from hashes of (seed, sid, place), so partitioning does not matter. For at
-least the given share of sequences per pattern, an occurrence is planted: positives at
+comes from hashes of (seed, sid, place), so partitioning does not matter and SQL can make
+the same data. For at least the given share of sequences per pattern, an occurrence is planted: positives at
 rising random places, and negated items in the windows between give way to others.
 """
 
 from __future__ import annotations
 
+import math
 import random
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -34,8 +35,19 @@ def plan(n_items: int, n_patterns: int, pattern_len: int, seed: int) -> list[Pat
 
 
 def _u(seed: int, *parts: Column) -> Column:
-    """Uniform in [0, 1) from a hash."""
-    return F.pmod(F.xxhash64(F.lit(seed), *parts), F.lit(2**40)) / F.lit(float(2**40))
+    """Uniform in [0, 1): the first 32 bits of an MD5 digest."""
+    digest = F.md5(F.concat_ws(":", F.lit(str(seed)), *(p.cast("string") for p in parts)))
+    return F.conv(F.substring(digest, 1, 8), 16, 10).cast("long") / F.lit(float(2**32))
+
+
+def poisson_steps(mean: float) -> list[float]:
+    """P(length <= k) for k from 0 until all but 1e-9 is reached; a length is the number of steps up to a uniform value."""
+    out, term, k = [], math.exp(-mean), 0
+    while not out or out[-1] < 1 - 1e-9:
+        out.append(round((out[-1] if out else 0.0) + term, 12))
+        k += 1
+        term *= mean / k
+    return out
 
 
 def _planter(places: list[Column], positives: list[str], gaps: list, alphabet: list[str]):
@@ -58,11 +70,11 @@ def generate(spark: SparkSession, n: int = 500, mean_len: int = 20, n_items: int
     """sequences (sid, len, itemsets) and truth (pattern, planted: number of sequences)."""
     patterns = plan(n_items, n_patterns, pattern_len, seed)
     longest = max(len(p.elements) for p in patterns) + 1
-    # a sum of uniforms is near enough to a Poisson of the same mean and variance
-    normal = sum((_u(seed, F.col("sid"), F.lit(-k)) for k in range(1, 13)), F.lit(0.0)) - 6
-    length = F.greatest(F.lit(longest), F.round(F.lit(mean_len) + normal * F.lit(mean_len**0.5)).cast("int"))
+    steps = F.array(*map(F.lit, poisson_steps(mean_len)))
+    rows = spark.range(n).withColumnRenamed("id", "sid").withColumn("_l", _u(seed, F.col("sid"), F.lit(0)))
+    length = F.greatest(F.lit(longest), F.size(F.filter(steps, lambda x: x <= F.col("_l"))))
     alphabet = F.array(*map(F.lit, names(n_items)))
-    rows = spark.range(n).withColumnRenamed("id", "sid").withColumn("len", length)
+    rows = rows.withColumn("len", length)
     rows = rows.withColumn("items", F.transform(F.sequence(F.lit(1), F.col("len")), lambda i: F.get(alphabet, F.floor(_u(seed, F.col("sid"), i) * n_items).cast("int"))))
     truth = []
     for k, p in enumerate(patterns):

@@ -24,7 +24,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.pattern import TOKENS, stats, text_of
-from ..plans.planner import small
+from ..plans.planner import LOCAL_ROWS, small
 from ..plans.stage import bucketed, cached, written
 
 
@@ -54,6 +54,12 @@ class Options:
     prefix: str | None = None
 
 
+def check(o: Options) -> Options:
+    if o.surround not in ("off", "printed", "checked") or o.redundancy not in (None, "drop_last") or o.non_inclusion not in ("total", "partial"):
+        raise ValueError(f"unknown option in {o}")
+    return o
+
+
 def frequent_items(items: DataFrame, minsup: int) -> DataFrame:
     """item, support: sequences that hold it."""
     return items.select("sid", "item").distinct().groupBy("item").agg(F.count("*").alias("support")).where(F.col("support") >= minsup)
@@ -97,9 +103,7 @@ def _append(tokens: Column, item: Column, op: Column) -> Column:
 
 class Miner:
     def __init__(self, items: DataFrame, minsup: int, options: Options, lminus: DataFrame | None = None, buckets: int | None = None):
-        self.o, self.minsup, self.buckets, self.spark = options, minsup, buckets, items.sparkSession
-        if options.surround not in ("off", "printed", "checked") or options.redundancy not in (None, "drop_last") or options.non_inclusion not in ("total", "partial"):
-            raise ValueError(f"unknown option in {options}")
+        self.o, self.minsup, self.buckets, self.spark = check(options), minsup, buckets, items.sparkSession
         self.words = cached(dictionary(frequent_items(items, minsup)))
         self.n_words = self.words.count()
         self.store = encode(items, self.words, self.n_words, buckets)
@@ -306,19 +310,43 @@ def described(found: DataFrame, n: int | None = None) -> DataFrame:
     return out if n is None else out.withColumn("rel_support", F.round(F.col("support") / n, 6))
 
 
-def mine(items: DataFrame, sigma: str | float | int, options: Options | None = None, lminus: DataFrame | None = None, buckets: int | None = None, sequences: int | None = None) -> DataFrame:
-    """pattern, support, n_items, n_pos, n_neg, tokens of all frequent patterns. items: sid, pos, item; sequences: n(D) if some sequences are empty."""
+def size_of(items: DataFrame) -> tuple[int, int]:
+    """Sequences and rows, in one pass."""
+    n, rows = items.groupBy("sid").agg(F.count("*").alias("rows")).agg(F.count("*"), F.coalesce(F.sum("rows"), F.lit(0))).first()
+    return n, rows
+
+
+def mine(items: DataFrame, sigma: str | float | int, options: Options | None = None, lminus: DataFrame | None = None, buckets: int | None = None, sequences: int | None = None, engine: str = "auto") -> DataFrame:
+    """pattern, support, n_items, n_pos, n_neg, tokens of all frequent patterns. items: sid, pos, item; sequences: n(D) if some sequences are empty.
+
+    engine: 'frontier', or 'auto': a database that was counted to hold at most planner.LOCAL_ROWS events is mined
+    depth-first in tasks that share it, if the options allow; both give the same patterns.
+    """
+    from . import local_engine
+
+    if engine not in ("auto", "frontier"):
+        raise ValueError(f"unknown engine {engine}")
+    o, rows = options or Options(), None
+    if engine == "auto" and lminus is None and buckets is None and local_engine.able(o):
+        counted, rows = size_of(items)
+        sequences = counted if sequences is None else sequences
     n = n_sequences(items) if sequences is None else sequences
-    miner = Miner(items, max(1, threshold(n, sigma)), options or Options(), lminus, buckets)
-    return described(miner.run())
+    minsup = max(1, threshold(n, sigma))
+    if rows is not None and rows <= LOCAL_ROWS:
+        return described(local_engine.mine_small(items, minsup, check(o)))
+    return described(Miner(items, minsup, o, lminus, buckets).run())
 
 
 def trace(items: DataFrame, sigma: str | float | int, options: Options | None = None) -> DataFrame:
-    """The search tree: pattern, parent, op, support."""
-    miner = Miner(items, max(1, threshold(n_sequences(items), sigma)), options or Options())
-    found = miner.run().select("pid", "parent", "op", text_of("tokens").alias("pattern"), "support")
-    up = found.select(F.col("pid").alias("parent"), F.col("pattern").alias("parent_pattern"))
-    return found.join(up, "parent", "left").select("pattern", "parent_pattern", "op", F.col("support").cast("long").alias("support"))
+    """The search tree: pattern, parent_pattern, op, support. A pattern's last step shows in its end: an itemset of several items was composed, an absence before a single one was added after it."""
+    t = F.col("tokens")
+    last, before = F.element_at(t, -1), F.get(t, F.size(t) - 2)
+    one = lambda neg, x: F.array(F.struct(F.lit(neg).alias("neg"), F.slice(x, F.lit(1), F.size(x) - 1).alias("items")))
+    front = lambda n: F.slice(t, F.lit(1), F.greatest(F.size(t) - n, F.lit(0)))
+    op = F.when(F.size(last["items"]) > 1, "c").when(F.size(t) == 1, "root").when(before["neg"], "n").otherwise("s")
+    less = F.when(F.size(before["items"]) > 1, F.concat(front(2), one(True, before["items"]), F.array(last))).otherwise(F.concat(front(2), F.array(last)))
+    parent = F.when(op == "c", F.concat(front(1), one(False, last["items"]))).when(op == "n", less).when(op == "s", front(1))
+    return mine(items, sigma, options).select("pattern", F.when(op != "root", text_of(parent.cast(TOKENS))).alias("parent_pattern"), op.alias("op"), "support")
 
 
 def with_sids(items: DataFrame, minsup: int, options: Options) -> DataFrame:

@@ -9,6 +9,7 @@ import uuid
 from collections.abc import Callable
 from contextlib import contextmanager
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -60,9 +61,9 @@ def five_numbers(df: DataFrame, value: str, by: list[str]) -> DataFrame:
     return df.groupBy(*by).agg(q.alias("q")).select(*by, *(F.round(F.get("q", F.lit(i)), 6).alias(n) for i, n in enumerate(("least", "low", "middle", "high", "most"))))
 
 
-def slope(df: DataFrame, y: str, x: str) -> DataFrame:
+def slope(df: DataFrame, y: str, x: str, by: list[str] | None = None) -> DataFrame:
     """Slope of log y over x, the rate of exponential growth."""
-    return df.where(F.col(y) > 0).agg(F.round(F.regr_slope(F.log(F.col(y).cast("double")), F.col(x).cast("double")), 6).alias("slope"))
+    return df.where(F.col(y) > 0).groupBy(*(by or [])).agg(F.round(F.regr_slope(F.log(F.col(y).cast("double")), F.col(x).cast("double")), 6).alias("slope"))
 
 
 def recovery(truth: DataFrame, found: DataFrame) -> DataFrame:
@@ -73,7 +74,8 @@ def recovery(truth: DataFrame, found: DataFrame) -> DataFrame:
 
 def sampled(items: DataFrame, one_of: int, seed: int = 0) -> DataFrame:
     """Sequences of one in so many, by a hash of their id."""
-    return items.where(F.pmod(F.xxhash64(F.lit(seed), "sid"), F.lit(one_of)) == 0)
+    mark = F.conv(F.substring(F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("sid").cast("string"))), 1, 8), 16, 10).cast("long")
+    return items.where(mark % one_of == 0)
 
 
 def sample_bound(n: int, delta: float = 0.01) -> float:
@@ -128,9 +130,28 @@ def timed(spark: SparkSession, run: Callable[[], DataFrame], seconds: float = 30
     return {"seconds": round(time.perf_counter() - began, 3), "rows": rows, "status": state["status"], "driver_kb": resource.getrusage(resource.RUSAGE_SELF).ru_maxrss}
 
 
-def partner_state(lists: DataFrame) -> Column:
+def item_masks(items: DataFrame, words: list[str]) -> DataFrame:
+    """sid, mask: the items of a sequence as bits, of at most 63 words."""
+    if len(words) > 63:
+        raise ValueError("a mask has room for 63 items")
+    bit = F.element_at(F.create_map(*(F.lit(x) for k, w in enumerate(words) for x in (w, 1 << k))), F.col("item"))
+    return items.where(F.col("item").isin(words)).groupBy("sid").agg(F.bit_or(bit).alias("mask"))
+
+
+def middle(values: pd.Series) -> float:
+    """The median, as a grouped Arrow aggregate."""
+    return float(values.median())
+
+
+def frontier_sizes(rows: DataFrame, by: list[str]) -> DataFrame:
+    """Sequences and the median number of rows that a sequence has, of each group: rows by, sid."""
+    per = rows.groupBy(*by, "sid").agg(F.count("*").cast("double").alias("n"))
+    return per.groupBy(*by).agg(F.pandas_udf(middle, "double")("n").alias("middle"))
+
+
+def partner_state(positives: DataFrame) -> DataFrame:
     """Rows of sequence ids that the partner miner holds: the sum of the supports of all its positives."""
-    return F.sum("support").alias("state_rows")
+    return positives.agg(F.sum("support").alias("state_rows"))
 
 
 __all__ = ["counts", "five_numbers", "lost_by_gap", "missed_by_partner", "overlap", "overlap_counts", "partner_state", "positive_part", "profile", "recovery", "sample_bound", "sampled", "slope", "time_limit", "timed", "two_phase"]

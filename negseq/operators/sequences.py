@@ -55,15 +55,20 @@ def first_n(items: DataFrame, n: int) -> DataFrame:
     return items.where(F.col("pos") <= n)
 
 
+def drop_short(items: DataFrame, least: int) -> DataFrame:
+    """Without the sequences of fewer than ``least`` positions. They still count in n(D): count it before and give it to the miner as ``sequences``."""
+    length = F.max("pos").over(Window.partitionBy("sid"))
+    return items.withColumn("_len", length).where(F.col("_len") >= least).drop("_len")
+
+
 def last_n(items: DataFrame, n: int) -> DataFrame:
     length = F.max("pos").over(Window.partitionBy("sid"))
     return items.withColumn("_from", length - n).where("pos > _from").select("sid", (F.col("pos") - F.greatest("_from", F.lit(0))).alias("pos"), "item")
 
 
-def tokenize(text: Column, kind: str, first: int | None = None) -> Column:
-    """Words ([a-z]+ in lower case) or html tags of a text."""
-    found = F.regexp_extract_all(F.lower(text), F.lit("([a-z]+)" if kind == "words" else "<([a-z][a-z0-9]*)"), 1)
-    return F.slice(found, 1, first) if first else found
+def tokenize(text: Column, kind: str) -> Column:
+    """Words ([a-z]+ in lower case) or html tags of a whole text."""
+    return F.regexp_extract_all(F.lower(text), F.lit("([a-z]+)" if kind == "words" else "<([a-z][a-z0-9]*)"), 1)
 
 
 def from_tokens(df: DataFrame, sid: str, tokens: Column) -> DataFrame:
@@ -111,20 +116,19 @@ def turns(spark: SparkSession, d: str) -> DataFrame:
     return load(spark, d, "conversations", "conv_id", "turn", "role").select(F.col("conv_id").alias("sid"), (F.col("turn") + 1).cast("int").alias("pos"), F.col("role").alias("item")).distinct()
 
 
-def words(spark: SparkSession, d: str, first: int = 60) -> DataFrame:
-    docs = load(spark, d, "documents", "doc_id", "text", "lang").where("lang = 'en'")
-    return from_tokens(docs, "doc_id", tokenize(F.col("text"), "words", first))
+def words(spark: SparkSession, d: str) -> DataFrame:
+    return from_tokens(load(spark, d, "documents", "doc_id", "text"), "doc_id", tokenize(F.col("text"), "words"))
 
 
 def tags(spark: SparkSession, d: str) -> DataFrame:
-    return from_tokens(load(spark, d, "pages", "page_id", "html"), "page_id", tokenize(F.col("html"), "tags", 60))
+    return from_tokens(load(spark, d, "pages", "page_id", "html"), "page_id", tokenize(F.col("html"), "tags"))
 
 
 def nation_flow(spark: SparkSession, d: str) -> DataFrame:
     lines = load(spark, d, "lineitem", "l_orderkey", "l_suppkey", "l_shipdate", "l_linenumber")
     buyers = load(spark, d, "customer", "c_custkey", "c_nationkey").join(load(spark, d, "nation", "n_nationkey", "n_regionkey"), F.col("c_nationkey") == F.col("n_nationkey")).join(load(spark, d, "region", "r_regionkey", "r_name"), F.col("n_regionkey") == F.col("r_regionkey"))
     rows = lines.join(load(spark, d, "orders", "o_orderkey", "o_custkey"), F.col("l_orderkey") == F.col("o_orderkey")).join(buyers, F.col("o_custkey") == F.col("c_custkey"))
-    return first_n(build_sequences(rows, "l_suppkey", ["l_shipdate", "l_orderkey", "l_linenumber"], "r_name", "rank"), 40)
+    return build_sequences(rows, "l_suppkey", ["l_shipdate", "l_orderkey", "l_linenumber"], "r_name", "rank")
 
 
 def status_items(spark: SparkSession, d: str) -> DataFrame:
@@ -135,7 +139,7 @@ def status_items(spark: SparkSession, d: str) -> DataFrame:
 
 
 def passages(spark: SparkSession, d: str) -> DataFrame:
-    return from_tokens(load(spark, d, "benchmark", "item_id", "text"), "item_id", tokenize(F.col("text"), "words", 40))
+    return from_tokens(load(spark, d, "benchmark", "item_id", "text"), "item_id", tokenize(F.col("text"), "words"))
 
 
 def vec_labels(spark: SparkSession, d: str) -> DataFrame:

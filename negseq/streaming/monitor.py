@@ -60,8 +60,8 @@ class Tracker:
         return done
 
 
-def monitor(events: DataFrame, patterns: list[str], c: Constraints = FREE, delay: str = "1 hour") -> DataFrame:
-    """events: sid long, at timestamp, item string (streaming). Rows of equal time form an itemset. Emits each completion."""
+def monitor(events: DataFrame, patterns: list[str], c: Constraints = FREE, delay: str = "1 hour", idle_seconds: int | None = None) -> DataFrame:
+    """events: sid long, at timestamp, item string (streaming). Rows of equal time form an itemset. Emits each completion. A sequence without a row for idle_seconds of event time is forgotten, with its position; None keeps all."""
     parsed = [parse(p) for p in patterns]
 
     def run(key: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
@@ -80,7 +80,16 @@ def monitor(events: DataFrame, patterns: list[str], c: Constraints = FREE, delay
                 j += 1
             rows += [(key[0], p, pd.Timestamp(ready[i][0], unit="us"), tracker.position) for p in tracker.step({x for _, x in ready[i:j]})]
             i = j
-        state.update((json.dumps({"tracker": tracker.saved(), "waiting": waiting}),))
+        last = max([saved.get("last", 0), *(w[0] for w in ready)])
+        idle = None if idle_seconds is None else last + idle_seconds * 1_000_000
+        if not waiting and idle is not None and idle <= mark:
+            if state.exists:
+                state.remove()
+            yield pd.DataFrame(rows, columns=["sid", "pattern", "at", "position"])
+            return
+        state.update((json.dumps({"tracker": tracker.saved(), "waiting": waiting, "last": last}),))
+        if not waiting and idle is not None:
+            state.setTimeoutTimestamp(max(idle // 1000 + 1, state.getCurrentWatermarkMs() + 1))
         if waiting:
             state.setTimeoutTimestamp(max(min(w[0] for w in waiting) // 1000 + 1, state.getCurrentWatermarkMs() + 1))
         yield pd.DataFrame(rows, columns=["sid", "pattern", "at", "position"])
