@@ -104,10 +104,11 @@ def strict(view: str, num: int, den: int, ratio: tuple[int, int] | None = None,
     text = f"{fmt('h.x')} || ' !' || {fmt('q.item')} || ' ' || {fmt('h.y')}"
     base_ = mined(view, num, den, gap, positives)
     low = "0" if ratio is None else f"((SELECT t FROM t) * {ratio[0]} + {ratio[1] - 1}) // {ratio[1]}"
-    return f"""{base_}, o AS (SELECT a.sid, a.item AS x, b.item AS y, min(a.pos) AS p, max(b.pos) AS e FROM w a JOIN w b ON b.sid = a.sid AND b.pos > a.pos GROUP BY 1, 2, 3),
+    # absent items of the partner miner are those of its positive patterns, frequent at the share
+    return f"""{base_}, q AS MATERIALIZED ({'SELECT item FROM f' if ratio is None else f'SELECT item FROM v GROUP BY 1 HAVING count(DISTINCT sid) >= {low}'}), qw AS MATERIALIZED (SELECT v.* FROM v WHERE item IN (SELECT item FROM q)), o AS (SELECT a.sid, a.item AS x, b.item AS y, min(a.pos) AS p, max(b.pos) AS e FROM w a JOIN w b ON b.sid = a.sid AND b.pos > a.pos GROUP BY 1, 2, 3),
  h AS (SELECT x, y, count(*) AS s FROM o GROUP BY 1, 2 HAVING count(*) >= (SELECT t FROM t)),
- lost AS (SELECT x, y, m.item AS q, count(DISTINCT o.sid) AS lost FROM o JOIN w m ON m.sid = o.sid AND m.pos > o.p AND m.pos < o.e GROUP BY 1, 2, 3),
- g AS (SELECT {text} AS pattern, h.s - coalesce(lost, 0) AS support, 1 AS n_neg, coalesce(lost, 0) AS partner FROM h CROSS JOIN f q LEFT JOIN lost ON lost.x = h.x AND lost.y = h.y AND lost.q = q.item WHERE h.s - coalesce(lost, 0) >= (SELECT t FROM t) AND coalesce(lost, 0) >= {low})"""
+ lost AS (SELECT x, y, m.item AS q, count(DISTINCT o.sid) AS lost FROM o JOIN qw m ON m.sid = o.sid AND m.pos > o.p AND m.pos < o.e GROUP BY 1, 2, 3),
+ g AS (SELECT {text} AS pattern, h.s - coalesce(lost, 0) AS support, 1 AS n_neg, coalesce(lost, 0) AS partner FROM h CROSS JOIN q LEFT JOIN lost ON lost.x = h.x AND lost.y = h.y AND lost.q = q.item WHERE h.s - coalesce(lost, 0) >= (SELECT t FROM t) AND coalesce(lost, 0) >= {low})"""
 
 
 def holders(p, gap: int | None = None, span: int | None = None, view: str = "v") -> str:
