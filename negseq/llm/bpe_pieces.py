@@ -40,7 +40,7 @@ from . import words as W
 
 MARK = "▁"
 #: Segments of each of two generations that a worker remembers, of at most LONGEST characters (about 200 bytes each with its ids), and pairs of pieces (about 90 bytes each).
-MEMO, LONGEST, PAIRS = 400_000, 40, 400_000
+MEMO, LONGEST, PAIRS = 150_000, 40, 200_000
 #: Bytes of text handled at once.
 SLICE = 1 << 20
 #: Up to this length a text is merged by scanning its pairs; beyond it by a queue.

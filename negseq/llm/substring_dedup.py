@@ -30,6 +30,8 @@ from .shared import null_last
 
 #: Windows in one row at most; they are bits of a long.
 RUN = 32
+#: Bytes of text (of compressed text half as many) that a worker handles at once.
+SLICE = 2 << 20
 
 
 def _runs(windows: W.Words, width: int, gram: int) -> tuple[np.ndarray, ...]:
@@ -67,7 +69,7 @@ def _salted(key: np.ndarray, *of: np.ndarray) -> np.ndarray:
 
 def find_runs(width: int, gram: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in W.pieces(batches, "text"):
+        for part in W.pieces(batches, "text", SLICE):
             key, doc, first, length, own = _runs(W.split(*W.utf8(part.column(2))), width, gram)
             if not len(key):
                 continue
@@ -87,14 +89,14 @@ def find_runs(width: int, gram: int):
 
 def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Texts travel compressed; what they are joined with comes back to Python anyway."""
-    for batch in batches:
+    for batch in W.pieces(batches, "text", SLICE):
         at = batch.schema.get_field_index("text")
         packed = [None if x is None else zlib.compress(x, 1) for x in batch.column(at).cast(pa.binary()).to_pylist()]
         yield batch.set_column(at, "text", pa.array(packed, pa.binary()))
 
 
 def unpacked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in W.pieces(batches, "text", SLICE // 2):
         at = batch.schema.get_field_index("text")
         texts = [None if x is None else zlib.decompress(x) for x in batch.column(at).to_pylist()]
         yield batch.set_column(at, "text", pa.array(texts, pa.large_binary()))
@@ -104,7 +106,7 @@ def hash_runs(width: int, gram: int):
     """For the runs that may repeat: their window hashes, and a mask of windows with an earlier equal one in this slice."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in W.pieces(unpacked(batches), "text"):
+        for part in W.pieces(unpacked(batches), "text", SLICE):
             text = W.split(*W.utf8(part.column(2)))
             h = text.hashes()
             if len(h) < width:
@@ -166,7 +168,8 @@ def _covered(runs: np.ndarray, masks: np.ndarray, n: int, width: int) -> list[tu
 
 def cut(width: int, with_text: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        # the texts are compressed
+        for batch in W.pieces(batches, "text", W.CHUNK_BYTES // 2):
             n_words, n_removed, digest, kept_text, spans = [], [], [], [], []
             for text, runs, masks in zip(*(batch.column(k).to_pylist() for k in (1, 2, 3)), strict=True):
                 text = zlib.decompress(text) if text is not None else None

@@ -30,6 +30,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from . import words as W
 from .shared import written
 
 TRAIN_ROWS = 20_000
@@ -54,7 +55,7 @@ def tokens(text: str) -> list[str]:
 
 def count_forms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """For each form in the slice: toxic and other documents that hold it."""
-    for batch in batches:
+    for batch in W.pieces(batches, "_text", 4 << 20):
         seen: dict[str, list[int]] = {}
         for text, toxic in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
             for form in {f for w in set(tokens(text or "")) for f in forms(w)}:
@@ -75,7 +76,7 @@ class Model:
         for w in words:
             x = memo.get(w)
             if x is None:
-                if len(memo) > 200_000:
+                if len(memo) > 100_000:
                     memo.clear()
                 x = memo[w] = self.word(w)
             out.append(x)
@@ -192,7 +193,7 @@ def count_scores(model: Model):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         memo: dict[str, float] = {}
-        for batch in batches:
+        for batch in W.pieces(batches, "_text", 4 << 20):
             seen: Counter[float] = Counter()
             for text in batch.column(0).to_pylist():
                 seen.update(model.row(text, memo)[1])
@@ -266,7 +267,7 @@ def crc_fold(value: int | None) -> int:
 def scorer(model: Model):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         memo: dict[str, float] = {}
-        for batch in batches:
+        for batch in W.pieces(batches, "_text"):
             scores, passages = [], []
             for text in batch.column(0).to_pylist():
                 split, row = model.row(text, memo)

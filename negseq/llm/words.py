@@ -14,7 +14,7 @@ import numpy as np
 import pyarrow as pa
 
 #: Bytes of text handled at once inside a worker; temporaries take about 40 times as much.
-CHUNK_BYTES = 4 << 20
+CHUNK_BYTES = 1 << 20
 
 SPACE = np.zeros(256, bool)
 SPACE[[0x20, *range(0x09, 0x0E)]] = True
@@ -110,6 +110,7 @@ def pieces(batches: Iterator[pa.RecordBatch], text: str, limit: int = CHUNK_BYTE
             j = max(i + 1, int(np.searchsorted(offsets, offsets[i] + limit, "right")) - 1)
             yield batch.slice(i, j - i)
             i = j
+        pa.default_memory_pool().release_unused()
 
 
 def signed(x: np.ndarray) -> np.ndarray:
