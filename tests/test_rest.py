@@ -5,8 +5,9 @@ import pytest
 from negseq.functions.pattern import parse
 from negseq.functions.semantics import Constraints, embeddings, first_violation
 from negseq.functions.semantics import GROWTH
-from negseq.operators import generator, measures, postprocess
+from negseq.operators import generator, growth, measures, postprocess
 from negseq.operators import sequences as S
+from negseq.operators.growth import Options
 from negseq.sources import sequence_text
 from negseq.streaming.monitor import Tracker
 
@@ -126,3 +127,31 @@ def test_entry_without_llm(tmp_path):
     said = subprocess.run([sys.executable, "-c", "import __spark_entry__ as e; print(len(e.queries()), len(e.oracle_sql()), any(k.startswith('op1') for k in e.queries()))"], cwd=tmp_path, capture_output=True, text=True)
     n, m, has = said.stdout.split()[-3:]
     assert int(n) > 90 and int(m) > 90 and has == "False", said.stderr
+
+
+def test_first_embedding_of_nulls():
+    import pandas as pd
+
+    from negseq.functions.surface import first_embedding
+
+    got = first_embedding(pd.Series([[["a"], None, ["b"]], None, [["a"]], [["a"], ["c"], ["b"]]]), pd.Series(["a !c b", "a", None, "a !c b"]))
+    assert [None if x is None else list(x) for x in got] == [[1, 3], None, None, None]
+
+
+def test_patterns_and_trees_are_kept(spark, tmp_path):
+    from negseq.sources import tables
+
+    items = spark.createDataFrame([(1, 1, "a"), (1, 2, "b"), (2, 1, "a"), (2, 3, "b")], "sid long, pos int, item string")
+    found = growth.mine(items, 2, Options())
+    tables.save_patterns(found, str(tmp_path / "p"))
+    assert tables.load_patterns(spark, str(tmp_path / "p")).count() == found.count() == 5
+    tree = tables.tree_text(growth.trace(items, 2, Options()))
+    assert '"a" -> "a b"' in tree and '"a b" -> "a !a b"' in tree
+
+
+def test_masks_and_short_sequences(spark):
+    items = spark.createDataFrame([(1, 1, "a"), (1, 2, "c"), (2, 1, "b"), (3, 1, "z")], "sid long, pos int, item string")
+    assert {r["sid"]: r["mask"] for r in measures.item_masks(items, ["a", "b", "c"]).collect()} == {1: 5, 2: 2}
+    assert {r["sid"] for r in S.drop_short(items, 2).collect()} == {1}
+    with pytest.raises(ValueError):
+        measures.item_masks(items, [str(k) for k in range(64)])
