@@ -423,3 +423,34 @@ def test_pipeline_stages(spark):
     for r in mixed.collect():
         got[r["doc_id"]] = got.get(r["doc_id"], 0) + len(r["text"].encode().split())
     assert got == {i: n for i, n in plan.items() if n}
+
+
+def test_very_long_texts(spark):
+    """One document of 1.5 million characters among short ones, in every operator on texts."""
+    rng = random.Random(17)
+    passage = words(rng, 40, 10**6)
+    long = " ".join([*words(rng, 120_000, 50_000), *passage, *words(rng, 120_000, 50_000)])
+    rows = [(1, long, "a"), (2, "x " + " ".join(passage) + " y", "a"), (3, long, "b"), (4, "short", "b"), (5, None, None)]
+    docs = docs_of(spark, rows)
+    cut = {r["doc_id"]: r for r in substring_dedup.substring_dedup(docs, with_text=False).collect()}
+    want = brute_substrings(rows)
+    assert {i: (r["n_words"], r["n_removed"], r["kept_sha256"]) for i, r in cut.items()} == want and want[2][1] == 40
+    assert {r["doc_id"]: r["component_id"] for r in minhash_dedup.minhash_dedup(docs).collect()} == {1: 1, 2: 2, 3: 1, 4: 4, 5: 5}
+    assert {r["doc_id"]: r["size"] for r in mixing.mix(docs).collect()} == {i: n for i, (n, *_) in want.items()}
+    print_ = {r["doc_id"]: r for r in fingerprint.edited(docs).collect()}
+    assert print_[1]["fingerprint"] == print_[3]["fingerprint"] and print_[1]["n_chars"] == len(long)
+    model = toxicity.Model({"short": 8.0}, 1.0, 0.0)
+    assert toxicity.score(docs, model).count() == 5
+    sentencepiece = pytest.importorskip("sentencepiece")
+    from negseq.llm.queries import model_path
+
+    ids = sentencepiece.SentencePieceProcessor(model_file=model_path()).encode(long, add_eos=True)
+    got = {r["doc_id"]: r for r in bpe_pieces.encode(docs, model_path(), with_ids=False).collect()}
+    assert got[1]["ids_sha256"] == got[3]["ids_sha256"] == hashlib.sha256(" ".join(map(str, ids)).encode()).hexdigest() and got[1]["n_tokens"] == len(ids)
+
+
+def test_warc_revisits_name_their_record(spark):
+    """Several ARC records an archive; the revisit's reference is the id of the response, read from the archive itself."""
+    arc = warc.arc_header(1, "f") + warc.arc_record(1, "http://a", b"same") + warc.arc_record(1, "http://b", b"same")
+    first, second = (head for r in warc.convert(arc, [None, ("7", "http://a")], ["7", "8"]) for head, _ in warc.parse_warc(r))
+    assert second["WARC-Refers-To"] == first["WARC-Record-ID"] and second["WARC-Refers-To-Target-URI"] == first["WARC-Target-URI"] and second["WARC-Refers-To-Date"] == first["WARC-Date"]
