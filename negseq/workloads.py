@@ -709,7 +709,7 @@ query("last_n_days", f"SELECT sid, (pos - greatest(len - 3, 0))::INTEGER AS pos,
 query("drop_short", f"SELECT sid, pos, item FROM (SELECT *, max(pos) OVER (PARTITION BY sid) AS len FROM ({O.VIEWS['turns']})) WHERE len >= 4")(lambda spark, d: S.drop_short(S.turns(spark, d), 4))
 
 
-@query("sessions_clicks", "SELECT sid, max(session) + 1 AS sessions FROM (SELECT sid, sum(CASE WHEN gap > 43200 THEN 1 ELSE 0 END) OVER (PARTITION BY sid ORDER BY at ROWS UNBOUNDED PRECEDING)::BIGINT AS session FROM (SELECT user_id AS sid, ts AS at, epoch(date_trunc('second', ts))::BIGINT - epoch(date_trunc('second', lag(ts) OVER (PARTITION BY user_id ORDER BY ts)))::BIGINT AS gap FROM events)) GROUP BY 1")
+@query("sessions_clicks", "SELECT sid, max(session) + 1 AS sessions FROM (SELECT sid, sum(CASE WHEN gap > 43200 THEN 1 ELSE 0 END) OVER (PARTITION BY sid ORDER BY seen ROWS UNBOUNDED PRECEDING)::BIGINT AS session FROM (SELECT user_id AS sid, ts AS seen, epoch(date_trunc('second', ts))::BIGINT - epoch(date_trunc('second', lag(ts) OVER (PARTITION BY user_id ORDER BY ts)))::BIGINT AS gap FROM events)) GROUP BY 1")
 def sessions_clicks(spark: SparkSession, d: str) -> DataFrame:
     """Visits of a user, parted by half a day of silence."""
     rows = S.load(spark, d, "events", "user_id", "ts").select(F.col("user_id").alias("sid"), F.col("ts").alias("at"))
