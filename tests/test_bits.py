@@ -3,7 +3,8 @@ import random
 import numpy as np
 import pytest
 
-from negseq.functions.semantics import Constraints
+from negseq.functions.pattern import parse
+from negseq.functions.semantics import Constraints, Semantics
 from negseq.operators import baselines, bit_engine, growth, local_engine
 from negseq.operators.growth import Options
 
@@ -52,3 +53,23 @@ def test_partner_on_bits(spark, ratio):
     assert any("!" in t for t in want) and read(baselines.mine_partner(items, 5, ratio, engine="bits")) == want
     with pytest.raises(ValueError):
         baselines.mine_partner(items, 5, ratio, max_items=5, engine="bits")
+
+
+def large(monkeypatch):
+    """Every database counts as too large for a task, and no frontier may be made."""
+    for module in (growth, baselines):
+        monkeypatch.setattr(module, "LOCAL_ROWS", 0)
+    monkeypatch.setattr(growth.Miner, "run", lambda *a, **k: pytest.fail("a frontier"))
+
+
+@pytest.mark.parametrize("embedding", ["soft", "strict"])
+def test_large_partial_makes_no_frontier(spark, monkeypatch, embedding):
+    large(monkeypatch)
+    db = brute.database(random.Random(12), "abc", 9)
+    lminus = spark.createDataFrame([(["a", "b"],), (["c"],), (["b", "zz"],)], "items array<string>")
+    got = read(growth.mine(items_of(spark, db), 3, Options(max_items=4, max_neg_size=2, max_pos_items=2, max_itemsets=2, non_inclusion="partial", embedding=embedding), lminus))
+    names = {t for t in got if "!" in t}
+    assert any("(a b)" in t for t in names) and any("(b zz)" in t for t in names)
+    for t, n in got.items():
+        p = parse(t)
+        assert n == sum(brute.holds(s, p, Semantics("partial", embedding), Constraints()) for s in db), t
