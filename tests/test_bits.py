@@ -73,3 +73,11 @@ def test_large_partial_makes_no_frontier(spark, monkeypatch, embedding):
     for t, n in got.items():
         p = parse(t)
         assert n == sum(brute.holds(s, p, Semantics("partial", embedding), Constraints()) for s in db), t
+
+
+def test_large_baskets_make_no_frontier(spark, monkeypatch):
+    large(monkeypatch)
+    db = brute.database(random.Random(13), "abc", 9)
+    items = items_of(spark, db)
+    assert read(growth.mine(items, 3, Options(maxgap=2))) == baselines.mine_exhaustive(db, 3, 3, c=Constraints(2), max_neg_size=1)
+    assert len(read(baselines.mine_partner(items, 3, 0.1))) > 20
