@@ -1,11 +1,16 @@
 import random
 
+import pytest
+
+from negseq.functions.pattern import parse
+from negseq.functions.semantics import Constraints, Semantics
 from negseq.operators import bit_engine
 
 from . import brute
 from .test_bits import large
 from .test_growth import items_of
 
+
 def test_case_packs_once(spark, monkeypatch):
     """Both miners of a case share one pass over the tables."""
     from negseq import workloads
@@ -17,3 +22,21 @@ def test_case_packs_once(spark, monkeypatch):
     assert {r["side"] for r in workloads.QUERIES["case_overlap"](spark, "").collect()} and len(calls) == 1
     workloads.QUERIES["case_missed"](spark, "").collect()
     assert len(calls) == 2
+
+
+@pytest.mark.parametrize("name", ["mine_lminus_itemsets", "mine_partial_soft", "mine_partial_strict"])
+def test_partial_packs_once(spark, monkeypatch, name):
+    """The sets to be absent come from the packed sequences, and no second pass over the tables is made."""
+    from pyspark.sql import functions as F
+
+    from negseq import workloads
+
+    db, passes = brute.database(random.Random(14), "abc", 12), spark.sparkContext.accumulator(0)
+    seen = F.udf(lambda x: passes.add(1) or x, "string")
+    items = items_of(spark, db).withColumn("item", seen("item"))
+    monkeypatch.setattr(workloads.S, "basket_type", lambda *_: items)
+    large(monkeypatch)
+    got = {r["pattern"]: r["support"] for r in workloads.QUERIES[name](spark, "").collect()}
+    assert any("!(a b)" in t for t in got) and passes.value == sum(len({*s}) for x in db for s in x)
+    for t, n in got.items():
+        assert n == sum(brute.holds(s, parse(t), Semantics("partial", "strict" if name.endswith("strict") else "soft"), Constraints(3)) for s in db), t
