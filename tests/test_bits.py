@@ -81,3 +81,17 @@ def test_large_baskets_make_no_frontier(spark, monkeypatch):
     items = items_of(spark, db)
     assert read(growth.mine(items, 3, Options(maxgap=2))) == baselines.mine_exhaustive(db, 3, 3, c=Constraints(2), max_neg_size=1)
     assert len(read(baselines.mine_partner(items, 3, 0.1))) > 20
+
+
+def test_edges_of_sequences():
+    bits = np.array([[0, 1 << 5 | 1 << 63, 0, 2], [0, 0, 1 << 63 | 1, 1]], np.uint64)
+    assert bit_engine._edge(bits).tolist() == [128, 5, 64, 1] and bit_engine._edge(bits, last=True).tolist() == [-1, 63, 127, 64]
+
+
+def test_steps_without_gap_read_edges(spark, monkeypatch):
+    """Of what follows without a gap, places are not compared word by word; what cannot compose is not counted."""
+    rng = random.Random(16)
+    db = [[[rng.choice("abcd")] for _ in range(rng.choice([3, 70, 140]))] for _ in range(8)]
+    want = found(local_engine.mine_local(db, 3, Options(negatives=False)))
+    monkeypatch.setattr(bit_engine.Chunk, "tally", None)
+    assert len(want) > 50 and read(growth.mine(items_of(spark, db), 3, Options(negatives=False), engine="bits")) == want
