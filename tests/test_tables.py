@@ -3,7 +3,7 @@ import pytest
 from negseq import workloads
 
 
-@pytest.mark.parametrize("name", ["absence_table", "exec_example", "inclusion_table", "monotonicity_cases", "occurrence_table", "rematch_case", "same_sids", "search_tree"])
+@pytest.mark.parametrize("name", ["absence_table", "derivation_path", "exec_example", "inclusion_table", "merge_redundant", "monotonicity_cases", "occurrence_table", "rematch_case", "same_sids", "search_tree"])
 def test_reads_a_given_table(spark, monkeypatch, name):
     read, load = [], workloads.S.load
     monkeypatch.setattr(workloads.S, "load", lambda *a: read.append(a[2]) or load(*a))
