@@ -40,3 +40,15 @@ def test_partial_packs_once(spark, monkeypatch, name):
     assert any("!(a b)" in t for t in got) and passes.value == sum(len({*s}) for x in db for s in x)
     for t, n in got.items():
         assert n == sum(brute.holds(s, parse(t), Semantics("partial", "strict" if name.endswith("strict") else "soft"), Constraints(3)) for s in db), t
+
+
+@pytest.mark.parametrize("name", ["endpoints"])
+def test_packing_exchanges_once(spark, monkeypatch, name):
+    """Behind the join of the tables there is one exchange, by sequence: places, bits and rows of a sequence follow from it."""
+    from negseq import workloads
+
+    plans, written = [], bit_engine.written
+    monkeypatch.setattr(bit_engine, "written", lambda df: plans.append(df._jdf.queryExecution().executedPlan().toString()) or written(df))
+    large(monkeypatch)
+    assert workloads.QUERIES[name](spark, "/root/testdata/sf0.001").count()
+    assert plans[0].count("Exchange hashpartitioning(sid") == 1 and "Exchange hashpartitioning(o_custkey" not in plans[0]
