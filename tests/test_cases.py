@@ -42,7 +42,7 @@ def test_partial_packs_once(spark, monkeypatch, name):
         assert n == sum(brute.holds(s, parse(t), Semantics("partial", "strict" if name.endswith("strict") else "soft"), Constraints(3)) for s in db), t
 
 
-@pytest.mark.parametrize("name", ["endpoints"])
+@pytest.mark.parametrize("name", ["endpoints", "mine_partial_strict"])
 def test_packing_exchanges_once(spark, monkeypatch, name):
     """Behind the join of the tables there is one exchange, by sequence: places, bits and rows of a sequence follow from it."""
     from negseq import workloads
@@ -52,3 +52,22 @@ def test_packing_exchanges_once(spark, monkeypatch, name):
     large(monkeypatch)
     assert workloads.QUERIES[name](spark, "/root/testdata/sf0.001").count()
     assert plans[0].count("Exchange hashpartitioning(sid") == 1 and "Exchange hashpartitioning(o_custkey" not in plans[0]
+
+
+def test_orders_travel_as_bits(spark, tmp_path):
+    """The lines of an order meet before they are exchanged; alphabets of several words, an unknown item, orders of one day."""
+    from negseq.operators import sequences as S
+
+    rng, d = random.Random(15), str(tmp_path)
+    names = [None, *(f"type {k:03d}" for k in range(149))]
+    orders = [(o, rng.randrange(4), f"2024-01-0{rng.randrange(1, 6)} 00:00:00") for o in range(40)]
+    lines = [(rng.randrange(42), rng.randrange(160)) for _ in range(400)]
+    spark.createDataFrame(list(enumerate(names)), "p_partkey long, p_type string").write.parquet(f"{d}/part.parquet")
+    spark.createDataFrame(orders, "o_orderkey long, o_custkey long, day string").selectExpr("o_orderkey", "o_custkey", "timestamp(day) AS o_orderdate").write.parquet(f"{d}/orders.parquet")
+    spark.createDataFrame(lines, "l_orderkey long, l_partkey long").write.parquet(f"{d}/lineitem.parquet")
+    rows = {(c, day, names[p]) for o, c, day in orders for k, p in lines if k == o and p < len(names)}
+    days = {c: sorted({day for x, day, _ in rows if x == c}) for c in range(4)}
+    got = S.basket_type(spark, d)
+    key = lambda x: (x[0], x[1], x[2] or "")
+    assert sorted(map(tuple, got.collect()), key=key) == sorted(((c, days[c].index(day) + 1, x) for c, day, x in rows), key=key)
+    assert "partial_bit_or" in got._jdf.queryExecution().executedPlan().toString()
