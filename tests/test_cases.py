@@ -42,7 +42,7 @@ def test_partial_packs_once(spark, monkeypatch, name):
         assert n == sum(brute.holds(s, parse(t), Semantics("partial", "strict" if name.endswith("strict") else "soft"), Constraints(3)) for s in db), t
 
 
-@pytest.mark.parametrize("name", ["endpoints", "mine_lminus_itemsets", "mine_partial_strict", "mine_two_item_negative", "real_basket_brand"])
+@pytest.mark.parametrize("name", ["endpoints", "mine_lminus_itemsets", "mine_partial_strict", "mine_two_item_negative", "real_basket_brand", "real_partner_basket_brand"])
 def test_packing_exchanges_once(spark, monkeypatch, name):
     """Behind the join of the tables there is one exchange, by sequence: places, bits and rows of a sequence follow from it."""
     from negseq import workloads
