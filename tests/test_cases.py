@@ -71,3 +71,31 @@ def test_orders_travel_as_bits(spark, tmp_path):
     key = lambda x: (x[0], x[1], x[2] or "")
     assert sorted(map(tuple, got.collect()), key=key) == sorted(((c, days[c].index(day) + 1, x) for c, day, x in rows), key=key)
     assert "partial_bit_or" in got._jdf.queryExecution().executedPlan().toString()
+
+
+@pytest.mark.parametrize("group", [64, 256])
+def test_lines_are_exchanged_by_order_only(spark, tmp_path, monkeypatch, group):
+    """However large the parts, no line is exchanged for its part, and the lines that met are not exchanged again for the join. Keys below zero, far apart, twice and null; more items than a row holds."""
+    from negseq.operators import sequences as S
+
+    rng, d = random.Random(17), str(tmp_path)
+    monkeypatch.setattr(S, "GROUP", group, raising=False)
+    keys = [*range(-70, 70), 10**12, 10**12 + 1, 5, 5, -1, None]
+    parts = [(k, rng.choice([None, *(f"brand {x:03d}" for x in range(130))])) for k in keys]
+    orders = [(o, rng.randrange(4), f"2024-01-0{rng.randrange(1, 6)} 00:00:00") for o in range(40)]
+    lines = [(rng.randrange(42), rng.choice([*keys, 77, 128])) for _ in range(600)]
+    spark.createDataFrame(parts, "p_partkey long, p_brand string").write.parquet(f"{d}/part.parquet")
+    spark.createDataFrame(orders, "o_orderkey long, o_custkey long, day string").selectExpr("o_orderkey", "o_custkey", "timestamp(day) AS o_orderdate").write.parquet(f"{d}/orders.parquet")
+    spark.createDataFrame(lines, "l_orderkey long, l_partkey long").write.parquet(f"{d}/lineitem.parquet")
+    rows = {(c, day, x) for o, c, day in orders for k, p in lines if k == o and p is not None for q, x in parts if p == q}
+    days = {c: sorted({day for x, day, _ in rows if x == c}) for c in range(4)}
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        got = S.basket_brand(spark, d)
+        key = lambda x: (x[0], x[1], x[2] or "")
+        assert sorted(map(tuple, got.collect()), key=key) == sorted(((c, days[c].index(day) + 1, x) for c, day, x in rows), key=key)
+        plan = got._jdf.queryExecution().executedPlan().toString().split("== Initial Plan ==")[-1]
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    assert "hashpartitioning(l_partkey" not in plan and "hashpartitioning(_item" not in plan
+    assert group < 130 or plan.count("Exchange hashpartitioning(l_orderkey") == 1
